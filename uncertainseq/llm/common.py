@@ -41,6 +41,15 @@ def text_of(column: str = "text") -> Column:
     return F.coalesce(F.col(column), F.lit(""))
 
 
+#: Rows of at most a few dozen bytes that may be sent to every executor; larger tables are joined by a shuffle.
+BROADCAST_ROWS = 1_000_000
+
+
+def small_or_shuffled(stored: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+    """A stored narrow table, marked for broadcast if a count shows that it is small; else as it is, for a shuffled join."""
+    return F.broadcast(stored) if stored.count() <= most else stored
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark delete shuffle files of frames that nothing refers to any more, before a step that needs the disk."""
     gc.collect()

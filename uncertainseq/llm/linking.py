@@ -14,7 +14,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from uncertainseq.llm.common import materialise, release, text_of
+from uncertainseq.llm.common import materialise, release, small_or_shuffled, text_of
 
 Verify = Callable[[DataFrame, DataFrame], DataFrame]
 
@@ -45,16 +45,20 @@ def components(edges: DataFrame, start: DataFrame | None = None) -> DataFrame:
 
 
 def buckets_of(members: DataFrame) -> DataFrame:
-    """(bucket, id) of buckets that hold at least two ids, each with the bucket's least id, from (id, keys)."""
+    """(bucket, id, head) of buckets that hold at least two ids, each with the bucket's least id, from (id, keys); stored.
+
+    One aggregate finds the buckets that are shared, most being of one id; only their rows are looked at again.
+    """
     flat = members.select("id", F.posexplode("keys").alias("at", "key")).select("id", F.xxhash64("at", "key").alias("bucket"))
-    heads = flat.groupBy("bucket").agg(F.min("id").alias("head"), F.max("id").alias("tail")).filter("head < tail").drop("tail")
-    return flat.join(heads, "bucket")
+    shared = materialise(flat.groupBy("bucket").count().filter("count > 1").select("bucket"), "shared")
+    release(members.sparkSession)
+    rows = materialise(flat.join(small_or_shuffled(shared), "bucket"), "shared-rows")
+    heads = rows.groupBy("bucket").agg(F.min("id").alias("head"))
+    return materialise(rows.join(heads, "bucket"), "buckets")
 
 
-def link(members: DataFrame, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """Links (a, b) that join all members (id, keys) whose pairs in a common bucket pass ``verify``."""
-    buckets = materialise(buckets_of(members), "buckets")
-    release(members.sparkSession)
+def link(buckets: DataFrame, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Links (a, b) that join all ids whose pairs in a common bucket pass ``verify``; ``buckets`` is a stored table of ``buckets_of``."""
     first = buckets.filter("head < id").select(F.col("head").alias("a"), F.col("id").alias("b")).distinct()
     edges = materialise(verify(first), "edges")
     roots = components(edges)
@@ -93,9 +97,12 @@ def classes(signed: DataFrame, verify: Verify, docs: DataFrame) -> DataFrame:
     own = named.groupBy("doc_id").agg(F.min("first").alias("first"))
     members = known.join(named.filter("doc_id = first").select("doc_id").distinct(), "doc_id", "left_semi").filter("bands is not null").select(F.col("doc_id").alias("id"), F.col("bands").alias("keys"))
     members = materialise(members, "members")
-    some = buckets_of(members).select(F.col("id").alias("doc_id")).distinct()
+    buckets = buckets_of(members)
+    release(docs.sparkSession)
+    some = small_or_shuffled(materialise(buckets.select(F.col("id").alias("doc_id")).distinct(), "wanted"))
     texts = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).join(some, "doc_id", "left_semi"), "texts")
-    edges = link(members, lambda pairs: verify(pairs, texts))
+    release(docs.sparkSession)
+    edges = link(buckets, lambda pairs: verify(pairs, texts))
     roots = components(edges)
     joined = own.join(roots.select(F.col("id").alias("first"), "root"), "first", "left").select("doc_id", F.coalesce("root", "first").alias("class_id"))
     return signed.select("doc_id").join(joined, "doc_id", "left")
