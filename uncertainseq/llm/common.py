@@ -41,6 +41,14 @@ def text_of(column: str = "text") -> Column:
     return F.coalesce(F.col(column), F.lit(""))
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """``name``, with underscores added until ``df`` has no such column."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 #: Rows of at most a few dozen bytes that may be sent to every executor; larger tables are joined by a shuffle.
 BROADCAST_ROWS = 1_000_000
 

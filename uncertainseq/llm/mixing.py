@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from uncertainseq.llm.common import materialise
+from uncertainseq.llm.common import fresh, materialise
 
 WEIGHTS, CAP, SEED, SHARDS = (5, 2, 1), 3, 10, 8
 #: Documents that may close a source's gap, one after another, each the one of the size nearest to what is missing.
@@ -145,7 +145,8 @@ def mix_plan(docs: DataFrame, n: int = SHARDS, weights: tuple[int, ...] = WEIGHT
 def mixture(docs: DataFrame, n: int | None = None, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP, seed: int = SEED) -> DataFrame:
     """The mix itself: a row, with all columns of ``docs``, for every copy taken, grouped by shard and shuffled within it."""
     n = n or 1 << max(3, (int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
-    planned = mix_plan(docs, n, weights, cap, seed).filter("size(shards) > 0").select("doc_id", F.col("shards").alias("shards__")).dropDuplicates(["doc_id"])
-    rows = docs.withColumnRenamed("doc_id", "id__").join(planned, F.col("id__").eqNullSafe(F.col("doc_id"))).drop("doc_id").withColumnRenamed("id__", "doc_id")
-    flat = rows.select(*docs.columns, F.posexplode("shards__").alias("copy__", "shard__"))
-    return flat.repartition("shard__").sortWithinPartitions("shard__", portable_hash(F.lit(seed), F.lit("order"), F.col("doc_id"), F.col("copy__"))).select(docs.columns)
+    ident, shards_, copy, shard = (fresh(docs, x) for x in ("ident", "shards", "copy", "shard"))
+    planned = mix_plan(docs, n, weights, cap, seed).filter("size(shards) > 0").select(F.col("doc_id").alias(ident), F.col("shards").alias(shards_)).dropDuplicates([ident])
+    rows = docs.join(planned, F.col("doc_id").eqNullSafe(F.col(ident)))
+    flat = rows.select(*docs.columns, F.posexplode(shards_).alias(copy, shard))
+    return flat.repartition(shard).sortWithinPartitions(shard, portable_hash(F.lit(seed), F.lit("order"), F.col("doc_id"), F.col(copy))).select(docs.columns)

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from uncertainseq.llm.common import materialise, text_of
+from uncertainseq.llm.common import fresh, materialise, text_of
 from uncertainseq.llm.textnp import shingle_hashes, slices, span_hashes, string_bytes, word_spans
 
 FREQUENCIES, WIDTH, RIDGE, FOLDS, BOUND, SEED, BINS, TASKS = 256, 6.0, 1.0, 5, 20_000, 2, 400, 8
@@ -176,16 +176,17 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", bound: int =
     return model
 
 
-def score(docs: DataFrame, model: Model, keep: list[str] | None = None) -> DataFrame:
-    """The columns ``keep`` (doc_id) and score and predicted of every row, in the pass that reads them."""
+def score(docs: DataFrame, model: Model, keep: list[str] | None = None, names: tuple[str, str] = ("score", "predicted")) -> DataFrame:
+    """The columns ``keep`` (doc_id), and score and predicted under ``names``, of every row, in the pass that reads them."""
     keep = keep or ["doc_id"]
-    source = docs.select(*keep, text_of().alias("text__"))
-    schema = source.drop("text__").withColumns({"score": F.lit(0.0), "predicted": F.lit(0)}).schema
+    text = fresh(docs, "text")
+    source = docs.select(*keep, text_of().alias(text))
+    schema = source.drop(text).withColumns({names[0]: F.lit(0.0), names[1]: F.lit(0)}).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             s = model(statistics(b.column(len(keep))))
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(s), pa.array((s >= 0.5).astype(np.int32))], names=[*keep, "score", "predicted"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(s), pa.array((s >= 0.5).astype(np.int32))], names=[*keep, *names])
 
     return source.mapInArrow(run, schema)
 
@@ -202,4 +203,5 @@ def quality_table(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 
 def keep_good(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """The documents that the classifier does not reject, with their columns."""
-    return score(docs, fit(docs, labels, **options), docs.columns).filter("predicted = 1").select(docs.columns)
+    names = (fresh(docs, "score"), fresh(docs, "predicted"))
+    return score(docs, fit(docs, labels, **options), docs.columns, names).filter(F.col(names[1]) == 1).select(docs.columns)
