@@ -216,3 +216,31 @@ def test_clashing_columns_stay(spark, odd, labels):
     assert set(docs.columns) <= set(line_dedup.dedup_lines(docs).columns)
     assert mixing.mixture(docs, 8).columns == docs.columns
     assert bagminhash.keep_one(docs).count() == 7
+
+
+def test_sizes_rule_out_no_link(spark):
+    """A group of near copies of many distances: the same classes as brute force, with and without sizes."""
+    from uncertainseq.llm import linking
+    from uncertainseq.llm.jaccard import partner_sizes, verified_jaccard
+
+    rng = np.random.default_rng(3)
+    base = [f"w{i}" for i in range(120)]
+    texts = []
+    for n in range(70):
+        words = list(base)
+        for _ in range(int(rng.integers(0, 7))):
+            words[int(rng.integers(0, 120))] = f"x{rng.integers(0, 40)}"
+        texts.append(" ".join(words[int(rng.integers(0, 12)) :] + ["tail"] * (n % 3)))
+    rows = [(i, t, "a") for i, t in enumerate(dict.fromkeys(texts))]
+    docs = docs_of(spark, rows)
+    root = list(range(len(rows)))
+    for i, a, _ in rows:
+        for j, b, _ in rows[:i]:
+            if brute_jaccard(a, b, True) >= 0.8:
+                old, new = max(root[i], root[j]), min(root[i], root[j])
+                root = [new if r == old else r for r in root]
+    signed = docs.selectExpr("doc_id", "sha1(text) as key", "array(1L, doc_id % 2) as bands")
+    verify = lambda pairs, t: verified_jaccard(pairs, t, 0.8, weighted=True)
+    for sizes in (None, lambda t: partner_sizes(t, 0.8, weighted=True)):
+        assert {r.doc_id: r.class_id for r in linking.classes(signed, verify, docs, sizes).collect()} == dict(enumerate(root))
+    assert 1 < len(set(root)) < len(rows)

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from uncertainseq.llm.common import materialise, text_of
-from uncertainseq.llm.jaccard import verified_jaccard
+from uncertainseq.llm.jaccard import partner_sizes, verified_jaccard
 from uncertainseq.llm.linking import classes
 from uncertainseq.llm.textnp import U64, mix, shingle_hashes, slices, string_bytes, word_hashes
 
@@ -106,7 +106,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, bands: int =
     columns are ignored.
     """
     signed = materialise(sketch(docs, bands, rows, seed), "bagminhash")
-    return classes(signed, lambda pairs, texts: verified_jaccard(pairs, texts, threshold, weighted=True), docs)
+    return classes(signed, lambda pairs, texts: verified_jaccard(pairs, texts, threshold, weighted=True), docs, lambda texts: partner_sizes(texts, threshold, weighted=True))
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:

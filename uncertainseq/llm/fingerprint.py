@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from uncertainseq.llm.common import materialise, text_of
-from uncertainseq.llm.jaccard import verified_jaccard
+from uncertainseq.llm.jaccard import partner_sizes, verified_jaccard
 from uncertainseq.llm.linking import classes
 from uncertainseq.llm.textnp import U64, mix, shingle_hashes, slices, span_hashes, string_bytes, word_spans
 
@@ -164,4 +164,4 @@ def near_pairs(docs: DataFrame, threshold: float = 0.8, size: int = SIZE, bands:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(keys), pa.array(list(total.view(np.int64)), pa.list_(pa.int64()))], names=["doc_id", "key", "bands"])
 
     signed = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(run, schema), "minhash")
-    return classes(signed, lambda pairs, texts: verified_jaccard(pairs, texts, threshold, weighted=False), docs)
+    return classes(signed, lambda pairs, texts: verified_jaccard(pairs, texts, threshold, weighted=False), docs, lambda texts: partner_sizes(texts, threshold, weighted=False))

@@ -10,6 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from uncertainseq.llm.common import materialise
 from uncertainseq.llm.textnp import shingle_hashes, word_hashes
 
 
@@ -35,6 +36,36 @@ def verified_jaccard(pairs: DataFrame, texts: DataFrame, threshold: float, weigh
     return two.select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
 
 
+def shared_sizes(texts: DataFrame, weighted: bool, k: int = 5) -> DataFrame:
+    """(id, size, common) of texts (doc_id, text): the number of runs of k words, and of those that some other text here has too.
+
+    Runs of one text alone are found by an aggregate on the runs, so a run that all texts share costs a row a partition.
+    ``common`` bounds what a text can share with any other one here: see ``partner_sizes``.
+    """
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 128):
+                part = batch.slice(at, 128)
+                grams, bounds = shingle_hashes(*word_hashes(part.column(1).cast(pa.large_string())), k)
+                for i in range(part.num_rows):
+                    held, n = np.unique(grams[bounds[i] : bounds[i + 1]], return_counts=True)
+                    ids = np.full(len(held), part.column(0)[i].as_py(), np.int64)
+                    yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(held.view(np.int64)), pa.array((n if weighted else np.ones_like(n)).astype(np.int64))], names=["id", "gram", "n"])
+
+    held = materialise(texts.select("doc_id", "text").mapInArrow(run, "id long, gram long, n long"), "runs")
+    alone = held.groupBy("gram").agg(F.count("*").alias("texts"), F.min("id").alias("id"), F.sum("n").alias("n")).filter("texts = 1")
+    own = alone.groupBy("id").agg(F.sum("n").alias("alone"))
+    sizes = held.groupBy("id").agg(F.sum("n").alias("size"))
+    return sizes.join(own, "id", "left").select("id", "size", (F.col("size") - F.coalesce("alone", F.lit(0))).alias("common"))
+
+
+def partner_sizes(texts: DataFrame, threshold: float, weighted: bool, k: int = 5) -> DataFrame:
+    """(id, size, most): a text shares at most ``common`` of its runs, so a partner at ``threshold`` has at most ``most`` runs."""
+    known = shared_sizes(texts, weighted, k)
+    most = F.col("common") * ((1 + threshold) / threshold) - F.col("size") + 1e-6
+    return known.select("id", F.col("size").cast("double").alias("size"), most.alias("most"))
+
+
 def jaccard(one: np.ndarray, two: np.ndarray, weighted: bool) -> float:
     """Jaccard similarity of two collections of hashes, as multisets if ``weighted``; 0 where one is empty."""
     if not len(one) or not len(two):

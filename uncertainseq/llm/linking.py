@@ -3,8 +3,9 @@
 Exact copies share one member, so a large group of copies costs one row. Members of a bucket are first held against the
 bucket's least member; what is linked becomes one class. Where a bucket still has several classes, their least members
 are held against each other, and where that leaves classes of several members apart, the members of different classes
-are. So no pair in a bucket goes untested unless its members already share a class, and a large group of like members
-costs a row each, not a row a pair. All steps are DataFrame operations on narrow rows; intermediate tables are written.
+are. So no pair in a bucket goes untested unless its members already share a class or its sizes rule a link out, and a
+large group of like members costs a row each, not a row a pair. Sizes rule out what is on the rim of a large group: a
+member that has many runs of its own cannot be similar enough to any member as large as those around it. All steps are DataFrame operations on narrow rows; intermediate tables are written.
 """
 
 from __future__ import annotations
@@ -57,38 +58,72 @@ def buckets_of(members: DataFrame) -> DataFrame:
     return materialise(rows.join(heads, "bucket"), "buckets")
 
 
-def link(buckets: DataFrame, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """Links (a, b) that join all ids whose pairs in a common bucket pass ``verify``; ``buckets`` is a stored table of ``buckets_of``."""
+def able(rows: DataFrame, root: str = "root") -> DataFrame:
+    """``rows`` (bucket, id, size, most, root) without those that no row of another root in their bucket may link with, by size.
+
+    A row needs a partner no larger than its ``most`` whose own ``most`` is no less than its size. The two least sizes and
+    the two greatest ``most`` of different roots settle whether another root has one of each; that is all a bucket sends on.
+    """
+    by_root = rows.groupBy("bucket", root).agg(F.min("size").alias("low"), F.max("most").alias("high"))
+    ends = by_root.groupBy("bucket").agg(
+        F.min(F.struct("low", root)).alias("least"), F.max(F.struct("high", root)).alias("most_of"),
+    )
+    second = by_root.join(ends, "bucket").groupBy("bucket").agg(
+        F.first("least").alias("least"), F.first("most_of").alias("most_of"),
+        F.min(F.when(F.col(root) != F.col(f"least.{root}"), F.col("low"))).alias("low_two"), F.max(F.when(F.col(root) != F.col(f"most_of.{root}"), F.col("high"))).alias("high_two"),
+    )
+    low = F.when(F.col(root) == F.col(f"least.{root}"), F.col("low_two")).otherwise(F.col("least.low"))
+    high = F.when(F.col(root) == F.col(f"most_of.{root}"), F.col("high_two")).otherwise(F.col("most_of.high"))
+    return rows.join(second, "bucket").filter((low <= F.col("most")) & (high >= F.col("size"))).select(rows.columns)
+
+
+def across(rows: DataFrame) -> DataFrame:
+    """Pairs (a, b) of different roots in a bucket that sizes do not rule out, from (bucket, id, root, size, most)."""
+    left = rows.select("bucket", F.col("id").alias("a"), F.col("root").alias("root_a"), F.col("size").alias("size_a"), F.col("most").alias("most_a"))
+    right = rows.select("bucket", F.col("id").alias("b"), F.col("root").alias("root_b"), F.col("size").alias("size_b"), F.col("most").alias("most_b"))
+    on = (left.bucket == right.bucket) & F.expr("a < b and root_a <> root_b and size_a <= most_b and size_b <= most_a")
+    return left.join(right, on).select("a", "b").distinct()
+
+
+def link(buckets: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+    """Links (a, b) that join all ids whose pairs in a common bucket pass ``verify``; ``buckets`` is a stored table of ``buckets_of``.
+
+    ``sizes``, if given, tells for ids (id) their size and the size of their largest possible partner: (id, size, most).
+    """
     first = buckets.filter("head < id").select(F.col("head").alias("a"), F.col("id").alias("b")).distinct()
     edges = materialise(verify(first), "edges")
     roots = components(edges)
     placed = buckets.join(roots, "id", "left").select("bucket", "id", F.coalesce("root", "id").alias("root"))
-    parts = placed.groupBy("bucket", "root").agg(F.min("id").alias("id"), F.count("*").alias("n"))
-    spread = parts.groupBy("bucket").agg(F.count("*").alias("parts"), F.max("n").alias("most"), F.sum("n").alias("size")).filter("parts > 1 and (parts > 2 or most > 1)")
+    several = placed.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low < high").select("bucket")
+    placed = materialise(placed.join(several, "bucket", "left_semi"), "placed")
+    if sizes:
+        known = materialise(sizes(placed.select("id").distinct()), "sizes")
+        placed = materialise(able(placed.join(known, "id")), "able")
+    else:
+        placed = placed.withColumns({"size": F.lit(0.0), "most": F.lit(0.0)})
+    parts = placed.groupBy("bucket", "root").agg(F.min(F.struct("id", "size", "most")).alias("one"), F.count("*").alias("n")).select("bucket", "root", "one.*", "n")
+    spread = parts.groupBy("bucket").agg(F.count("*").alias("parts"), F.max("n").alias("largest")).filter("parts > 1").select("bucket", "largest")
     parts = materialise(parts.join(spread, "bucket"), "parts")
-    left = parts.select("bucket", F.col("id").alias("a"), F.col("root").alias("root_a"))
-    right = parts.select("bucket", F.col("id").alias("b"), F.col("root").alias("root_b"))
-    second = left.join(right, "bucket").filter("a < b and root_a <> root_b").select("a", "b").distinct()
-    second = second.join(first, ["a", "b"], "left_anti")
+    second = across(parts).join(first, ["a", "b"], "left_anti")
     more = materialise(verify(second), "edges")
-    if more.isEmpty() and parts.filter("most > 1").isEmpty():
-        return edges
+    if parts.filter("largest > 1").isEmpty():
+        return edges.unionByName(more)
     edges = edges.unionByName(more)
     roots = components(edges, roots)
-    open_buckets = parts.filter("most > 1").select("bucket").distinct()
-    rest = buckets.join(open_buckets, "bucket", "left_semi").join(roots, "id", "left").select("bucket", "id", F.coalesce("root", "id").alias("root"))
+    wide = parts.filter("largest > 1").select("bucket").distinct()
+    rest = placed.drop("root").join(wide, "bucket", "left_semi").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
     still = rest.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low < high").select("bucket")
     rest = materialise(rest.join(still, "bucket", "left_semi"), "rest")
-    left = rest.select("bucket", F.col("id").alias("a"), F.col("root").alias("root_a"))
-    right = rest.select("bucket", F.col("id").alias("b"), F.col("root").alias("root_b"))
-    third = left.join(right, "bucket").filter("a < b and root_a <> root_b").select("a", "b").distinct()
+    third = across(able(rest) if sizes else rest)
     third = third.join(first, ["a", "b"], "left_anti").join(second, ["a", "b"], "left_anti")
     return edges.unionByName(materialise(verify(third), "edges"))
 
 
-def classes(signed: DataFrame, verify: Verify, docs: DataFrame) -> DataFrame:
+def classes(signed: DataFrame, verify: Verify, docs: DataFrame, sizes: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """(doc_id, class_id) of every row of ``signed`` (doc_id, key of equal texts, bands or null).
 
+    ``verify`` takes pairs and texts (doc_id, text), ``sizes`` texts: see ``link``.
+
     class_id is the least doc_id of the class; null where doc_id is null. Rows of one doc_id are one document.
     """
     known = signed.filter("doc_id is not null")
@@ -102,7 +137,7 @@ def classes(signed: DataFrame, verify: Verify, docs: DataFrame) -> DataFrame:
     some = small_or_shuffled(materialise(buckets.select(F.col("id").alias("doc_id")).distinct(), "wanted"))
     texts = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).join(some, "doc_id", "left_semi"), "texts")
     release(docs.sparkSession)
-    edges = link(buckets, lambda pairs: verify(pairs, texts))
+    edges = link(buckets, lambda pairs: verify(pairs, texts), sizes and (lambda ids: sizes(texts.join(ids.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi"))))
     roots = components(edges)
     joined = own.join(roots.select(F.col("id").alias("first"), "root"), "first", "left").select("doc_id", F.coalesce("root", "first").alias("class_id"))
     return signed.select("doc_id").join(joined, "doc_id", "left")
