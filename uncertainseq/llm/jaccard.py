@@ -13,6 +13,9 @@ from pyspark.sql import functions as F
 from uncertainseq.llm.common import materialise
 from uncertainseq.llm.textnp import shingle_hashes, word_hashes
 
+#: Parts, a power of two, that bound what two texts share.
+PARTS = 32
+
 
 def verified_jaccard(pairs: DataFrame, texts: DataFrame, threshold: float, weighted: bool, k: int = 5) -> DataFrame:
     """The pairs (a, b) whose runs of k words have (weighted: multiset) Jaccard similarity of at least ``threshold``."""
@@ -37,10 +40,11 @@ def verified_jaccard(pairs: DataFrame, texts: DataFrame, threshold: float, weigh
 
 
 def shared_sizes(texts: DataFrame, weighted: bool, k: int = 5) -> DataFrame:
-    """(id, size, common) of texts (doc_id, text): the number of runs of k words, and of those that some other text here has too.
+    """(id, size, common, parts) of texts (doc_id, text): the number of runs of k words, and of those that some other text here has too.
 
     Runs of one text alone are found by an aggregate on the runs, so a run that all texts share costs a row a partition.
-    ``common`` bounds what a text can share with any other one here: see ``partner_sizes``.
+    ``parts`` splits ``common`` by a hash of the run into ``PARTS``; what two texts share is at most the sum over the parts
+    of the smaller of both. ``common`` bounds what a text can share with any other one here: see ``partner_sizes``.
     """
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -54,16 +58,20 @@ def shared_sizes(texts: DataFrame, weighted: bool, k: int = 5) -> DataFrame:
 
     held = materialise(texts.select("doc_id", "text").mapInArrow(run, "id long, gram long, n long"), "runs")
     alone = held.groupBy("gram").agg(F.count("*").alias("texts"), F.min("id").alias("id"), F.sum("n").alias("n")).filter("texts = 1")
-    own = alone.groupBy("id").agg(F.sum("n").alias("alone"))
-    sizes = held.groupBy("id").agg(F.sum("n").alias("size"))
-    return sizes.join(own, "id", "left").select("id", "size", (F.col("size") - F.coalesce("alone", F.lit(0))).alias("common"))
+    part = F.col("gram").bitwiseAND(F.lit(PARTS - 1)).cast("int").alias("part")
+    both = held.select("id", part, "n", F.col("n").alias("common")).union(alone.select("id", part, F.lit(0).cast("long"), -F.col("n")))
+    sums = both.groupBy("id", "part").agg(F.sum("n").alias("n"), F.sum("common").alias("common"))
+    whole = sums.groupBy("id").agg(F.sum("n").alias("size"), F.sum("common").alias("common"), F.map_from_entries(F.collect_list(F.struct("part", "common"))).alias("by"))
+    parts = F.transform(F.sequence(F.lit(0), F.lit(PARTS - 1)), lambda g: F.coalesce(F.try_element_at("by", g), F.lit(0).cast("long")).cast("int"))
+    return whole.select("id", "size", "common", parts.alias("parts"))
 
 
 def partner_sizes(texts: DataFrame, threshold: float, weighted: bool, k: int = 5) -> DataFrame:
-    """(id, size, most): a text shares at most ``common`` of its runs, so a partner at ``threshold`` has at most ``most`` runs."""
+    """(id, size, most, half, parts): a text shares at most ``common`` of its runs, so a partner at ``threshold`` has at most ``most`` runs; both must share the sum of their halves."""
     known = shared_sizes(texts, weighted, k)
     most = F.col("common") * ((1 + threshold) / threshold) - F.col("size") + 1e-6
-    return known.select("id", F.col("size").cast("double").alias("size"), most.alias("most"))
+    half = F.col("size") * (threshold / (1 + threshold)) - 1e-6
+    return known.select("id", F.col("size").cast("double").alias("size"), most.alias("most"), half.alias("half"), "parts")
 
 
 def jaccard(one: np.ndarray, two: np.ndarray, weighted: bool) -> float:

@@ -16,7 +16,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from uncertainseq.llm.common import materialise, release, small_or_shuffled, text_of
+from uncertainseq.llm.jaccard import PARTS
 
+MEASURES = ["id", "root", "size", "most", "half", "parts"]
 Verify = Callable[[DataFrame, DataFrame], DataFrame]
 
 
@@ -77,18 +79,21 @@ def able(rows: DataFrame, root: str = "root") -> DataFrame:
     return rows.join(second, "bucket").filter((low <= F.col("most")) & (high >= F.col("size"))).select(rows.columns)
 
 
-def across(rows: DataFrame) -> DataFrame:
-    """Pairs (a, b) of different roots in a bucket that sizes do not rule out, from (bucket, id, root, size, most)."""
-    left = rows.select("bucket", F.col("id").alias("a"), F.col("root").alias("root_a"), F.col("size").alias("size_a"), F.col("most").alias("most_a"))
-    right = rows.select("bucket", F.col("id").alias("b"), F.col("root").alias("root_b"), F.col("size").alias("size_b"), F.col("most").alias("most_b"))
-    on = (left.bucket == right.bucket) & F.expr("a < b and root_a <> root_b and size_a <= most_b and size_b <= most_a")
-    return left.join(right, on).select("a", "b").distinct()
+def across(rows: DataFrame, parts: int) -> DataFrame:
+    """Pairs (a, b) of different roots in a bucket that sizes and parts do not rule out, from (bucket, id, root, size, most, half, parts)."""
+    left = rows.select("bucket", *[F.col(c).alias(f"{c}_a") for c in MEASURES])
+    right = rows.select("bucket", *[F.col(c).alias(f"{c}_b") for c in MEASURES])
+    on = (left.bucket == right.bucket) & F.expr("id_a < id_b and root_a <> root_b and size_a <= most_b and size_b <= most_a")
+    if parts:
+        on &= F.expr(" + ".join(f"least(parts_a[{k}], parts_b[{k}])" for k in range(parts)) + " >= half_a + half_b")
+    return left.join(right, on).select(F.col("id_a").alias("a"), F.col("id_b").alias("b")).distinct()
 
 
 def link(buckets: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """Links (a, b) that join all ids whose pairs in a common bucket pass ``verify``; ``buckets`` is a stored table of ``buckets_of``.
 
-    ``sizes``, if given, tells for ids (id) their size and the size of their largest possible partner: (id, size, most).
+    ``sizes``, if given, tells for ids (id) their size, that of their largest possible partner, and what both must share, by parts
+    (id, size, most, half, parts); see ``jaccard.partner_sizes``.
     """
     first = buckets.filter("head < id").select(F.col("head").alias("a"), F.col("id").alias("b")).distinct()
     edges = materialise(verify(first), "edges")
@@ -100,11 +105,12 @@ def link(buckets: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: Ca
         known = materialise(sizes(placed.select("id").distinct()), "sizes")
         placed = materialise(able(placed.join(known, "id")), "able")
     else:
-        placed = placed.withColumns({"size": F.lit(0.0), "most": F.lit(0.0)})
-    parts = placed.groupBy("bucket", "root").agg(F.min(F.struct("id", "size", "most")).alias("one"), F.count("*").alias("n")).select("bucket", "root", "one.*", "n")
+        placed = placed.withColumns({c: F.lit(0.0) for c in MEASURES[2:]})
+    parts = placed.groupBy("bucket", "root").agg(F.min(F.struct("id", *MEASURES[2:])).alias("one"), F.count("*").alias("n")).select("bucket", "root", "one.*", "n")
     spread = parts.groupBy("bucket").agg(F.count("*").alias("parts"), F.max("n").alias("largest")).filter("parts > 1").select("bucket", "largest")
     parts = materialise(parts.join(spread, "bucket"), "parts")
-    second = across(parts).join(first, ["a", "b"], "left_anti")
+    n_parts = PARTS if sizes else 0
+    second = across(parts, n_parts).join(first, ["a", "b"], "left_anti")
     more = materialise(verify(second), "edges")
     if parts.filter("largest > 1").isEmpty():
         return edges.unionByName(more)
@@ -114,7 +120,7 @@ def link(buckets: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: Ca
     rest = placed.drop("root").join(wide, "bucket", "left_semi").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
     still = rest.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low < high").select("bucket")
     rest = materialise(rest.join(still, "bucket", "left_semi"), "rest")
-    third = across(able(rest) if sizes else rest)
+    third = across(able(rest) if sizes else rest, n_parts)
     third = third.join(first, ["a", "b"], "left_anti").join(second, ["a", "b"], "left_anti")
     return edges.unionByName(materialise(verify(third), "edges"))
 
