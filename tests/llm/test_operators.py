@@ -6,6 +6,7 @@ from collections import Counter
 import numpy as np
 import pyarrow as pa
 import pytest
+import xxhash
 
 from uncertainseq.llm import bagminhash, fingerprint, jpeg_media, license_scan, line_dedup, mixing, packing, quality, toxicity, warc
 from uncertainseq.llm.jaccard import brute_jaccard
@@ -177,6 +178,23 @@ def test_line_dedup(spark, odd, none):
     assert line_dedup.dedup_lines(none).count() == 0
 
 
+def brute_simhash(line):
+    words = line.split(" ")
+    long = [w for w in words if len(w) >= 5]
+    digests = [xxhash.xxh64_intdigest(w.encode(), seed=42) for w in (long if len(long) >= 3 else words)]
+    bits = sum(1 << k for k in range(64) if 2 * sum(d >> k & 1 for d in digests) > len(digests))
+    return bits - (1 << 64) if bits >> 63 else bits
+
+
+def test_simhash_is_the_majority_of_bits(spark):
+    lines = ["one", "two words", LONG.lower(), "grüße an alle geräte hier", " ".join(["again"] * 29_999)]
+    rows = [(k, t, "a") for k, t in enumerate(lines)] + [(7, lines[4], "a")] * 5
+    got = {(r.doc_id, r.sim) for r in line_dedup.simhashes(docs_of(spark, rows)).collect()}
+    assert got == {(k, brute_simhash(t)) for k, t in enumerate(lines)} | {(7, brute_simhash(lines[4]))}
+    over = line_dedup.simhashes(docs_of(spark, [(1, " ".join(["again"] * 30_001), "a"), (2, " \u00a0\t", "a")])).collect()
+    assert [(r.doc_id, r.sim) for r in over] == [(1, None)]
+
+
 def brute_targets(sizes):
     order = sorted(sizes, key=lambda s: (s is None, s or ""))
     weight = {s: (5, 2, 1)[k % 3] for k, s in enumerate(order)}
