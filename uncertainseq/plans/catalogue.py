@@ -12,6 +12,7 @@ from uncertainseq.functions.assign import assign_weight, build_dictionary
 from uncertainseq.functions.sequences import best_match, suffix_max, to_flat, to_sequences
 from uncertainseq.model import Params, Pattern, floors
 from uncertainseq.operators import relational
+from uncertainseq.operators.compact import closed, maximal
 from uncertainseq.operators.growth import grow
 from uncertainseq.operators.incremental import BufferedIncrementalMiner, PromisingIncrementalMiner, RemineBaseline, transitions
 from uncertainseq.operators.mining import Database, mine_by_group, mine_loose, mine_static
@@ -64,16 +65,23 @@ def mined_sql(name: str, min_sup: float, max_len: int, factor: float = 1.0, unit
     return cte(name, enumerated(max_len)) + f"\nselect pattern, cast(n_items as int) n_items, cast(n_events as int) n_events, sup support, cast({weight} as bigint) weight from pats where {score(unit=unit)} >= {floor_sql(min_sup=min_sup, factor=factor, unit=unit)} - 1e-9"
 
 
-def mined(name: str, min_sup: float, max_len: int, unit: bool = False, loose: bool = False, factor: float = 1.0) -> Query:
+def mined(name: str, min_sup: float, max_len: int, unit: bool = False, loose: bool = False, factor: float = 1.0, keep: Callable[[list], list] = list) -> Query:
     def query(spark: SparkSession, sf_dir: str) -> DataFrame:
         db = load(ship(spark), sf_dir, name)
         base = db.unit() if unit else db
         found = mine_loose(base, Params(min_sup, factor, max_len=max_len)) if loose else mine_static(base, Params(min_sup, factor, max_len=max_len))
-        return spark.createDataFrame(rows_of(found.patterns, db.names), PATTERNS)
+        return spark.createDataFrame(rows_of(keep(found.patterns), db.names), PATTERNS)
 
     return query
 
 
+def compact_sql(name: str, min_sup: float, also: str = "") -> str:
+    """Of patterns of one or two items, those that no longer one contains (and, for closed ones, at the same support)."""
+    return f"""with m as ({mined_sql(name, min_sup, 2)})
+select * from m where n_items = 2 or not exists (
+  select 1 from m o where o.n_items = 2 and list_contains(regexp_split_to_array(o.pattern, '[(),]+'), regexp_replace(m.pattern, '[()]', '', 'g')) {also})"""
+
+
 def flat_query(name: str, then: Callable[[DataFrame], DataFrame]) -> Query:
     return lambda spark, sf_dir: then(occurrences(spark, sf_dir, name))
 
@@ -305,6 +313,8 @@ QUERIES: dict[str, Query] = {
     "mine_static_factor": mined("click_type", 0.02, 2, factor=0.75),
     "mine_unit_weight": mined("cust_type", 0.3, 2, unit=True),
     "mine_loose_hist": mined("cust_type", 0.3, 2, loose=True),
+    "mine_maximal": mined("click_type", 0.01, 2, keep=maximal),
+    "mine_closed": mined("click_type", 0.01, 2, keep=closed),
     "word_patterns": mined("words", 0.05, 2),
     "weight_factor_sweep": sweep_factor,
     "buffered_update": incremental_query(BufferedIncrementalMiner),
@@ -348,6 +358,8 @@ ORACLES: dict[str, str] = {
     "mine_static_factor": mined_sql("click_type", 0.02, 2, factor=0.75),
     "mine_unit_weight": mined_sql("cust_type", 0.3, 2, unit=True),
     "mine_loose_hist": mined_sql("cust_type", 0.3, 2),
+    "mine_maximal": compact_sql("click_type", 0.01),
+    "mine_closed": compact_sql("click_type", 0.01, "and o.support >= 100 * m.support"),
     "word_patterns": mined_sql("words", 0.05, 2),
     "weight_factor_sweep": cte("cust_type", enumerated(2)) + f"\nselect f factor, (select count(*) from pats where {score()} >= f * {floor_sql(min_sup=0.3)} - 1e-9) frequent from (values (0.5::double), (0.75::double), (1.0::double), (1.25::double), (1.5::double)) t(f)",
     "buffered_update": incremental_sql("buffered"),
