@@ -195,6 +195,36 @@ def test_simhash_is_the_majority_of_bits(spark):
     assert [(r.doc_id, r.sim) for r in over] == [(1, None)]
 
 
+def edit_similarity(a, b):
+    codes, at = np.frombuffer(b.encode("utf-32-le"), dtype=np.uint32), np.arange(len(b) + 1)
+    row = at
+    for i, c in enumerate(a, 1):
+        new = np.append([i], np.minimum(row[:-1] + (codes != ord(c)), row[1:] + 1))
+        row = np.minimum.accumulate(new - at) + at
+    return 1 - row[-1] / max(len(a), len(b))
+
+
+def test_line_recall_against_edit_similarity(spark):
+    """Lines of 5 to 400 words, each with a copy whose words were replaced as long as brute force finds edit similarity 0.8."""
+    rng = np.random.default_rng(4)
+    words = ["".join(rng.choice(list("etaoinshrdlu"), rng.integers(2, 10))) for _ in range(3000)]
+    rows, near = [], 0
+    for n in [5, 6, 8, 11, 12, 15, 20, 24, 25, 30, 40, 60] * 8 + [100, 200, 400]:
+        first = list(rng.choice(words, n))
+        copy, last = list(first), None
+        for k in rng.permutation(n):
+            copy[k] = str(rng.choice(words))
+            if edit_similarity(" ".join(first), " ".join(copy)) < 0.8:
+                break
+            last = " ".join(copy) if copy != first else last
+        if last:
+            near += 1
+            rows += [(2 * near, " ".join(first), "a"), (2 * near + 1, last, "a")]
+    got = {r.doc_id: r.n_removed for r in line_dedup.dedup_lines(docs_of(spark, rows)).collect()}
+    assert near > 85 and sum(got.values()) >= 0.95 * near
+    assert not any(got[2 * k] for k in range(1, near + 1))
+
+
 def brute_targets(sizes):
     order = sorted(sizes, key=lambda s: (s is None, s or ""))
     weight = {s: (5, 2, 1)[k % 3] for k, s in enumerate(order)}
