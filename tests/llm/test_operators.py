@@ -225,6 +225,13 @@ def test_line_recall_against_edit_similarity(spark):
     assert not any(got[2 * k] for k in range(1, near + 1))
 
 
+def test_lines_of_any_length_become_candidates(spark):
+    words = list(np.random.default_rng(5).choice(list("etaoinshrdlucmfw"), (30_500, 3)))
+    words = ["".join(w) for w in words]
+    lines = spark.createDataFrame([(1, " ".join(words)), (2, " ".join([*words[:17_000], "other", *words[17_001:]])), (3, "apart")], "hash long, line string")
+    assert {r.id for r in line_dedup.shared_buckets(line_dedup.minhashes(lines)).collect()} == {1, 2}
+
+
 def brute_targets(sizes):
     order = sorted(sizes, key=lambda s: (s is None, s or ""))
     weight = {s: (5, 2, 1)[k % 3] for k, s in enumerate(order)}
