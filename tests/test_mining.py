@@ -135,3 +135,12 @@ def test_state_survives_a_restart(spark, tmp_path):
     two = PromisingIncrementalMiner(WORKED_PARAMS)
     assert StateStore(str(tmp_path)).restore(two)
     assert {p: s.score for p, s in two.update(dbs[2], 2).items()} == {p: s.score for p, s in one.update(dbs[2], 2).items()}
+
+
+def test_word_patterns_read_whole_texts(spark, tmp_path):
+    from uncertainseq.sources.adapters import occurrences
+
+    texts = [" ".join(["early"] * 40 + ["late"]), "one two"]
+    spark.createDataFrame([(k, t, "en") for k, t in enumerate(texts)], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {(r.seq_id, r.eid, r.item) for r in occurrences(spark, str(tmp_path), "words").collect()}
+    assert got == {(k, i, w) for k, t in enumerate(texts) for i, w in enumerate(t.split(" "), 1)}

@@ -43,7 +43,7 @@ ADAPTERS = {
     "cust_hist": Adapter(HISTORY, "o_custkey", "o_orderdate", "p_brand", "l_orderkey * 8 + l_linenumber + l_partkey * 131"),
     "cust_type": Adapter(HISTORY, "o_custkey", "o_orderdate", "p_type", "l_orderkey * 8 + l_linenumber + l_partkey * 131"),
     "basket_drift": Adapter(f"(select *, dense_rank() over (order by o_orderdate, o_orderkey) nth, concat(p_brand, '@', cast(floor((year(o_orderdate) - 1995) / 2) as int)) drifting from {HISTORY})", "nth", "l_linenumber * 100000 + l_partkey", "drifting", "l_orderkey * 8 + l_linenumber + l_partkey * 131"),
-    "words": Adapter("(select doc_id, pos, word from en_words where pos <= 30)", "doc_id", "pos", "word", "doc_id * 1000 + pos"),
+    "words": Adapter("en_words", "doc_id", "pos", "word", "doc_id * 1000 + pos"),
     "turns": Adapter("turn_words", "conv_id", "turn", "word", "conv_id * 1000 + turn"),
 }
 TABLES = ("events", "lineitem", "part", "orders", "documents", "conversations")
