@@ -265,6 +265,13 @@ def test_mixing(spark, odd, none):
     assert mixed.count() == sum(len(r.shards) for r in got) and mixed.columns == docs.columns
 
 
+def test_mixing_goes_on_past_a_dominant_document(spark):
+    placed = spark.createDataFrame([(1, 10, k, 2500.0) for k in range(400)] + [(1, 6000, -1, 2500.0)], "rank int, size long, place long, rest double")
+    placed = placed.withColumn("place", placed.place + 5).selectExpr("*", "0L passes")
+    rows = mixing.filled(placed, 3).collect()
+    assert sum(r.size for r in rows if r.took) == 2500
+
+
 def test_clashing_columns_stay(spark, odd, labels):
     docs = odd.select("*", *[odd.key.alias(c) for c in ("score", "predicted", "shards", "copy", "hash", "bucket", "class_id", "text_")])
     assert quality.keep_good(docs, labels).columns == docs.columns

@@ -2,7 +2,8 @@
 
 A document's place in its source's order is a 60-bit hash of its doc_id. Whole passes over a source come first; the rest
 of its target is a prefix of the order, found by sums over 256 ranges of the hash, then over 256 parts of the range at
-the cut, then over the documents of that part, so no task holds a source. Up to four documents of fitting size close the gap.
+the cut, then over the documents of that part, so no task holds a source. Documents beyond the cut
+that fit close the gap, until none fits.
 The ranges are the blocks; each copy of a block is a unit. A tree halves the units among shards: at every level a node's
 units are drawn without replacement, which gives its halves multivariate-hypergeometric numbers of each source's units.
 A shard then takes that many units from the source's permuted order, disjoint from all other shards', and is shuffled
@@ -17,7 +18,7 @@ from pyspark.sql import functions as F
 from uncertainseq.llm.common import fresh, materialise
 
 WEIGHTS, CAP, SEED, SHARDS = (5, 2, 1), 3, 10, 8
-#: Documents that may close a source's gap, one after another, each the one of the size nearest to what is missing.
+#: Documents, each of the size nearest to what is missing, that are tried before the next prefix of fitting documents.
 CLOSING = 4
 
 
@@ -80,25 +81,53 @@ def cuts(placed: DataFrame) -> DataFrame:
     return found.select("rank", F.coalesce("cut", beyond).alias("cut"), (F.col("rest") - F.coalesce("filled", "before")).alias("gap"))
 
 
+def filled(placed: DataFrame, cap: float) -> DataFrame:
+    """``placed`` (rank, size, place, rest, passes, ...) and ``took``: whether the document gets one more copy.
+
+    After the prefix up to the first document that does not fit, up to ``CLOSING`` documents of the size nearest below the
+    gap are taken; then the prefix of what is outside and fits the gap, by the same range sums; and so on until nothing
+    outside fits. Last comes the one document that lowers the miss most by going beyond the target.
+    """
+    cut = materialise(cuts(placed), "cuts")
+    state = placed.join(cut, "rank", "left").withColumn("took", F.coalesce(F.col("place") < F.col("cut"), F.lit(False)) & (F.col("size") > 0)).drop("cut", "gap")
+    gaps = cut.select("rank", "gap")
+
+    def nearest(closing: DataFrame, fits: str) -> DataFrame:
+        outside = state.join(closing, "rank").filter(f"not took and passes < {cap} and size > 0 and {fits} and not array_contains(closing, place)")
+        best = outside.groupBy("rank").agg(F.min(F.struct(F.abs(F.col("size") - F.col("gap")).alias("off"), "place", "size")).alias("best"))
+        chosen = closing.join(best, "rank", "left")
+        return materialise(chosen.select("rank", (F.col("gap") - F.coalesce("best.size", F.lit(0))).alias("gap"), F.when(F.col("best").isNull(), F.col("closing")).otherwise(F.array_append("closing", F.col("best.place"))).alias("closing")), "closing")
+
+    def with_closing(closing: DataFrame) -> DataFrame:
+        one = state.join(closing.select("rank", "closing"), "rank", "left")
+        return one.withColumn("took", F.col("took") | (F.coalesce(F.array_contains("closing", F.col("place")), F.lit(False)) & (F.col("size") > 0))).drop("closing")
+
+    none = F.array().cast("array<bigint>")
+    while True:
+        closing = gaps.select("rank", "gap", none.alias("closing"))
+        for _ in range(CLOSING):
+            closing = nearest(closing, "size <= gap")
+            if closing.filter("gap >= 1").isEmpty():
+                break
+        state, gaps = with_closing(closing), closing.select("rank", "gap")
+        rest = state.drop("rest").join(gaps.withColumnRenamed("gap", "rest"), "rank").filter(f"not took and passes < {cap} and size > 0 and size <= rest")
+        if rest.isEmpty():
+            break
+        further = materialise(cuts(rest), "cuts")
+        held = state.join(gaps.withColumnRenamed("gap", "was"), "rank", "left").join(further.select("rank", "cut"), "rank", "left")
+        state = materialise(held.withColumn("took", F.col("took") | F.coalesce((F.col("size") > 0) & (F.col("size") <= F.col("was")) & (F.col("place") < F.col("cut")), F.lit(False))).drop("was", "cut"), "filled")
+        gaps = materialise(gaps.join(further.select("rank", F.col("gap").alias("now")), "rank", "left").select("rank", F.coalesce("now", "gap").alias("gap")), "gaps")
+    return with_closing(nearest(gaps.select("rank", "gap", none.alias("closing")), "abs(size - gap) < gap"))
+
+
 def copies(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP, seed: int = SEED) -> DataFrame:
     """(doc_id, source, rank, size, source_size, target, place, copies) of all documents; written, so that every use agrees."""
     base = materialise(sizes(docs, seed), "sizes")
     goal = materialise(targets(base, weights, cap).withColumn("passes", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size") + 1e-12)).otherwise(0).cast("long")), "targets")
     goal = goal.withColumn("rest", F.col("target") - F.col("passes") * F.col("source_size"))
     placed = base.withColumnRenamed("source", "own").join(goal, F.col("own").eqNullSafe(F.col("source"))).drop("own")
-    cut = materialise(cuts(placed), "cuts")
-    with_cut = placed.join(cut, "rank", "left")
-    closing = cut.select("rank", "gap", F.array().cast("array<bigint>").alias("closing"))
-    for k in range(CLOSING):
-        fits = "size <= gap" if k < CLOSING - 1 else "abs(size - gap) < gap"
-        outside = with_cut.drop("gap").join(closing, "rank").filter(f"passes < {cap} and place >= cut and size > 0 and {fits} and not array_contains(closing, place)")
-        best = outside.groupBy("rank").agg(F.min(F.struct(F.abs(F.col("size") - F.col("gap")).alias("off"), "place", "size")).alias("best"))
-        chosen = closing.join(best, "rank", "left")
-        closing = materialise(chosen.select("rank", (F.col("gap") - F.coalesce("best.size", F.lit(0))).alias("gap"), F.when(F.col("best").isNull(), F.col("closing")).otherwise(F.array_append("closing", F.col("best.place"))).alias("closing")), "closing")
-        if closing.filter("gap >= 1").isEmpty():
-            break
-    marked = with_cut.drop("gap").join(closing, "rank", "left")
-    more = F.coalesce((F.col("place") < F.col("cut")) | F.array_contains("closing", F.col("place")), F.lit(False)) & (F.col("size") > 0)
+    marked = filled(placed, cap)
+    more = F.col("took")
     return materialise(marked.select("doc_id", "source", "rank", "size", "source_size", "target", "place", (F.col("passes") + more.cast("long")).alias("copies")), "copies")
 
 
