@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import gc
 import tempfile
 import uuid
 
@@ -28,12 +27,33 @@ def shared_dir(spark: SparkSession) -> str:
 _own: str | None = None
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` once to the shared folder and return the stored table: a cut of lineage that outlives lost executors."""
+#: Spark's own setting under which the shuffle files of an execution go when it ends.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+def materialise(df: DataFrame, name: str, codec: str = "snappy") -> DataFrame:
+    """Write ``df`` once to the shared folder and return the stored table: a cut of lineage that outlives lost executors.
+
+    The shuffle files of the write go when it ends; ``discard`` deletes the table once what was made of it is stored.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    before = spark.conf.get(CLEANUP, "false")
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.option("compression", codec).parquet(path)
+    finally:
+        spark.conf.set(CLEANUP, before)
+    stored = spark.read.schema(df.schema).parquet(path)
+    stored.stored_at = path
+    return stored
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete stored tables that nothing unwritten reads any more."""
+    for stored in tables:
+        path = stored.sparkSession._jvm.org.apache.hadoop.fs.Path(stored.stored_at)
+        path.getFileSystem(stored.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
 def text_of(column: str = "text") -> Column:
@@ -56,9 +76,3 @@ BROADCAST_ROWS = 1_000_000
 def small_or_shuffled(stored: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
     """A stored narrow table, marked for broadcast if a count shows that it is small; else as it is, for a shuffled join."""
     return F.broadcast(stored) if stored.count() <= most else stored
-
-
-def release(spark: SparkSession) -> None:
-    """Let Spark delete shuffle files of frames that nothing refers to any more, before a step that needs the disk."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()

@@ -15,7 +15,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from uncertainseq.llm.common import materialise, release, small_or_shuffled, text_of
+from uncertainseq.llm.common import discard, materialise, small_or_shuffled, text_of
 from uncertainseq.llm.jaccard import PARTS
 
 MEASURES = ["id", "root", "size", "most", "half", "parts"]
@@ -36,15 +36,20 @@ def components(edges: DataFrame, start: DataFrame | None = None) -> DataFrame:
         ids = both.select("id").distinct()
         roots = ids.join(start, "id", "left").select("id", F.coalesce("root", "id").alias("root"))
     roots = materialise(roots, "roots")
+    done = [roots]
     while True:
         around = both.join(roots.select(F.col("id").alias("near"), "root"), "near").groupBy("id").agg(F.min("root").alias("least"))
         stepped = roots.join(around, "id").select("id", F.col("root").alias("was"), F.least("root", "least").alias("root"))
         hooks = stepped.filter(F.col("root") < F.col("was")).groupBy("was").agg(F.min("root").alias("to"))  # an old root follows its members
         jumps = stepped.join(hooks.withColumnRenamed("was", "root"), "root", "left").select("id", "was", F.least("root", F.coalesce("to", "root")).alias("root"))
         new = materialise(jumps, "roots")
-        if new.filter(F.col("root") < F.col("was")).isEmpty():
-            return new.select("id", "root")
+        discard(done.pop())
         roots = new.select("id", "root")
+        roots.stored_at = new.stored_at
+        if new.filter(F.col("root") < F.col("was")).isEmpty():
+            discard(both)
+            return roots
+        done.append(new)
 
 
 def buckets_of(members: DataFrame) -> DataFrame:
@@ -53,11 +58,10 @@ def buckets_of(members: DataFrame) -> DataFrame:
     One aggregate finds the buckets that are shared, most being of one id; only their rows are looked at again.
     """
     flat = members.select("id", F.posexplode("keys").alias("at", "key")).select("id", F.xxhash64("at", "key").alias("bucket"))
-    shared = materialise(flat.groupBy("bucket").count().filter("count > 1").select("bucket"), "shared")
-    release(members.sparkSession)
-    rows = materialise(flat.join(small_or_shuffled(shared), "bucket"), "shared-rows")
-    heads = rows.groupBy("bucket").agg(F.min("id").alias("head"))
-    return materialise(rows.join(heads, "bucket"), "buckets")
+    shared = materialise(flat.groupBy("bucket").agg(F.min("id").alias("head"), F.count("*").alias("n")).filter("n > 1").select("bucket", "head"), "shared")
+    found = materialise(flat.join(small_or_shuffled(shared), "bucket").select("bucket", "id", "head"), "buckets")
+    discard(shared)
+    return found
 
 
 def able(rows: DataFrame, root: str = "root") -> DataFrame:
@@ -139,10 +143,8 @@ def classes(signed: DataFrame, verify: Verify, docs: DataFrame, sizes: Callable[
     members = known.join(named.filter("doc_id = first").select("doc_id").distinct(), "doc_id", "left_semi").filter("bands is not null").select(F.col("doc_id").alias("id"), F.col("bands").alias("keys"))
     members = materialise(members, "members")
     buckets = buckets_of(members)
-    release(docs.sparkSession)
     some = small_or_shuffled(materialise(buckets.select(F.col("id").alias("doc_id")).distinct(), "wanted"))
     texts = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).join(some, "doc_id", "left_semi"), "texts")
-    release(docs.sparkSession)
     edges = link(buckets, lambda pairs: verify(pairs, texts), sizes and (lambda ids: sizes(texts.join(ids.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi"))))
     roots = components(edges)
     joined = own.join(roots.select(F.col("id").alias("first"), "root"), "first", "left").select("doc_id", F.coalesce("root", "first").alias("class_id"))
