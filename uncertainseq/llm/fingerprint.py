@@ -165,3 +165,9 @@ def near_pairs(docs: DataFrame, threshold: float = 0.8, size: int = SIZE, bands:
 
     signed = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(run, schema), "minhash")
     return classes(signed, lambda pairs, texts: verified_jaccard(pairs, texts, threshold, weighted=False), docs, lambda texts: partner_sizes(texts, threshold, weighted=False))
+
+
+def fingerprints_and_classes(docs: DataFrame, threshold: float = 0.8, size: int = SIZE, bands: int = BANDS, seed: int = SEED) -> DataFrame:
+    """``fingerprint_table`` with class_id, the least doc_id of the near-duplicates that bands and verification find (``near_pairs``); null for a null doc_id."""
+    found = near_pairs(docs, threshold, size, bands, seed).filter("doc_id is not null").groupBy("doc_id").agg(F.min("class_id").alias("class_id"))
+    return fingerprint_table(docs, size, seed).join(found, "doc_id", "left")

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from uncertainseq.llm.common import materialise
+from uncertainseq.llm.common import discard, materialise
 from uncertainseq.llm.textnp import shingle_hashes, word_hashes
 
 #: Parts, a power of two, that bound what two texts share.
@@ -63,7 +63,9 @@ def shared_sizes(texts: DataFrame, weighted: bool, k: int = 5) -> DataFrame:
     sums = both.groupBy("id", "part").agg(F.sum("n").alias("n"), F.sum("common").alias("common"))
     whole = sums.groupBy("id").agg(F.sum("n").alias("size"), F.sum("common").alias("common"), F.map_from_entries(F.collect_list(F.struct("part", "common"))).alias("by"))
     parts = F.transform(F.sequence(F.lit(0), F.lit(PARTS - 1)), lambda g: F.coalesce(F.try_element_at("by", g), F.lit(0).cast("long")).cast("int"))
-    return whole.select("id", "size", "common", parts.alias("parts"))
+    sized = materialise(whole.select("id", "size", "common", parts.alias("parts")), "shared-sizes")
+    discard(held)
+    return sized
 
 
 def partner_sizes(texts: DataFrame, threshold: float, weighted: bool, k: int = 5) -> DataFrame:

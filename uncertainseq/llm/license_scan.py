@@ -1,6 +1,6 @@
 """License phrases and notices by diagonal voting.
 
-Every run of three words of every text is joined with the runs of the templates. A hit votes for the diagonal (position
+The hash of every run of three words of every text is joined with the hashes of the templates' runs. A hit votes for the diagonal (position
 in the text less position in the template). Neighbouring diagonals of a template, a few words apart, are one span when
 they meet in the text, so inserted or dropped words do not break it. A span is verified by the share of the template's
 runs that it holds, each counted once; a short phrase must be whole, on one diagonal, word for word.
@@ -35,42 +35,43 @@ WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
 
 def template_runs(spark: SparkSession, templates: dict[str, str], exact: bool) -> DataFrame:
-    """(label, tpos, runs, gram, exact): as many rows as the templates have runs."""
+    """(label, tpos, runs, exact, gram): as many rows as the templates have runs; gram is the hash of the run's words."""
     rows = []
     for label, text in templates.items():
         words = text.split()
-        rows += [(label, i, len(words) - K + 1, " ".join(words[i : i + K]), exact) for i in range(len(words) - K + 1)]
-    return spark.createDataFrame(rows, "label string, tpos int, runs int, gram string, exact boolean")
+        rows += [(label, i, len(words) - K + 1, exact, words[i : i + K]) for i in range(len(words) - K + 1)]
+    made = spark.createDataFrame(rows, "label string, tpos int, runs int, exact boolean, run array<string>")
+    return made.select("label", "tpos", "runs", "exact", F.xxhash64(*[F.get("run", F.lit(j)) for j in range(K)]).alias("gram"))
 
 
 def scan(docs: DataFrame, phrases: dict[str, str] | None = None, notices: dict[str, str] | None = None, share: float = SHARE, drift: int = DRIFT) -> DataFrame:
     """A row per document: n_words, places and labels of whole phrases, labels of verified notices, score.
 
     score is 1 for a whole phrase, else the largest verified share of a notice, else 0. Null text is empty; a text of fewer
-    than three words has no runs. Rows of one doc_id are one document, null one too, if their word counts agree. No rows
+    than three words has no runs. Every row is a document of its own, whatever doc_id it shares or lacks. No rows
     give no rows; other columns are ignored. Templates are lower-case words, three at least, and few: they are broadcast.
     """
     spark = docs.sparkSession
     templates = template_runs(spark, phrases or PHRASES, True).union(template_runs(spark, notices or NOTICES, False))
     low = F.lower(F.replace(text_of(), F.lit("K"), F.lit("ĸ")))  # the one letter whose lower case would be ASCII
-    words = docs.select("doc_id", F.regexp_extract_all(low, F.lit(WORD), F.lit(0)).alias("words"))
-    run = F.transform(F.sequence(F.lit(1), F.size("words") - K + 1), lambda i: F.concat_ws(" ", *[F.element_at("words", i + j) for j in range(K)]))
-    grams = words.select("doc_id", F.size("words").cast("long").alias("n_words"), F.posexplode_outer(F.when(F.size("words") >= K, run)).alias("pos", "gram"))
+    words = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", F.regexp_extract_all(low, F.lit(WORD), F.lit(0)).alias("words"))
+    run = F.transform(F.sequence(F.lit(1), F.size("words") - K + 1), lambda i: F.xxhash64(*[F.element_at("words", i + j) for j in range(K)]))
+    grams = words.select("row", "doc_id", F.size("words").cast("long").alias("n_words"), F.posexplode_outer(F.when(F.size("words") >= K, run)).alias("pos", "gram"))
     hits = grams.join(F.broadcast(templates), "gram", "left")
-    votes = hits.groupBy("doc_id", "n_words", "label", "runs", "exact", (F.col("pos") - F.col("tpos")).alias("diagonal")).agg(
+    votes = hits.groupBy("row", "doc_id", "n_words", "label", "runs", "exact", (F.col("pos") - F.col("tpos")).alias("diagonal")).agg(
         F.min(F.when(F.col("label").isNotNull(), F.col("pos"))).alias("low"), F.max(F.when(F.col("label").isNotNull(), F.col("pos"))).alias("high"), F.collect_set("tpos").alias("held")
     )
-    near = Window.partitionBy("doc_id", "n_words", "label").orderBy("diagonal", "low")
+    near = Window.partitionBy("row", "doc_id", "n_words", "label").orderBy("diagonal", "low")
     apart = F.coalesce((F.col("diagonal") - F.lag("diagonal").over(near) > F.when(F.col("exact"), 0).otherwise(drift)) | ((F.col("low") > F.lag("high").over(near) + F.col("runs")) | (F.col("high") < F.lag("low").over(near) - F.col("runs"))), F.lit(True))
-    spans = votes.withColumn("span", F.sum(apart.cast("int")).over(near)).groupBy("doc_id", "n_words", "label", "runs", "exact", "span").agg(
+    spans = votes.withColumn("span", F.sum(apart.cast("int")).over(near)).groupBy("row", "doc_id", "n_words", "label", "runs", "exact", "span").agg(
         F.min("low").alias("low"), F.size(F.array_distinct(F.flatten(F.collect_list("held")))).alias("held")
     ).withColumn("part", F.col("held") / F.col("runs"))
     whole, verified = F.col("exact") & (F.col("held") == F.col("runs")), ~F.col("exact") & (F.col("part") >= share)
     joined = lambda c: F.array_join(F.sort_array(F.collect_set(F.when(c, F.col("label")))), ",")
-    return spans.groupBy("doc_id", "n_words").agg(
+    return spans.groupBy("row", "doc_id", "n_words").agg(
         F.count(F.when(whole, 1)).alias("n_base"), F.min(F.when(whole, F.col("low"))).cast("long").alias("first_word"), F.max(F.when(whole, F.col("low"))).cast("long").alias("last_word"),
         joined(whole).alias("base_labels"), joined(whole | verified).alias("labels"), F.round(F.coalesce(F.max(F.when(whole, 1.0).when(verified, F.col("part"))), F.lit(0.0)), 6).alias("score"),
-    )
+    ).drop("row")
 
 
 def oracle() -> str:

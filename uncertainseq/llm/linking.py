@@ -107,7 +107,8 @@ def link(buckets: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: Ca
     placed = materialise(placed.join(several, "bucket", "left_semi"), "placed")
     if sizes:
         known = materialise(sizes(placed.select("id").distinct()), "sizes")
-        placed = materialise(able(placed.join(known, "id")), "able")
+        several_roots, placed = placed, materialise(able(placed.join(known, "id")), "able")
+        discard(several_roots, known)
     else:
         placed = placed.withColumns({c: F.lit(0.0) for c in MEASURES[2:]})
     parts = placed.groupBy("bucket", "root").agg(F.min(F.struct("id", *MEASURES[2:])).alias("one"), F.count("*").alias("n")).select("bucket", "root", "one.*", "n")
@@ -147,5 +148,6 @@ def classes(signed: DataFrame, verify: Verify, docs: DataFrame, sizes: Callable[
     texts = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).join(some, "doc_id", "left_semi"), "texts")
     edges = link(buckets, lambda pairs: verify(pairs, texts), sizes and (lambda ids: sizes(texts.join(ids.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi"))))
     roots = components(edges)
+    discard(members, buckets, texts)
     joined = own.join(roots.select(F.col("id").alias("first"), "root"), "first", "left").select("doc_id", F.coalesce("root", "first").alias("class_id"))
     return signed.select("doc_id").join(joined, "doc_id", "left")

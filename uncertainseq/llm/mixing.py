@@ -1,10 +1,11 @@
 """Mixing of sources to target weights with DataFrame functions only: exact quotas, a splitting tree, disjoint permuted blocks.
 
-A document's place in its source's order is a 60-bit hash of its doc_id. Whole passes over a source come first; the rest
+A document is a row, known by its doc_id, source, a hash of its text, and its number among rows that agree in all three. Its place in its
+source's order is a 60-bit hash of these, so rows without a doc_id, or with the same one, are drawn one by one. Whole passes over a source come first; the rest
 of its target is a prefix of the order, found by sums over 256 ranges of the hash, then over 256 parts of the range at
 the cut, then over the documents of that part, so no task holds a source. Documents beyond the cut
 that fit close the gap, until none fits.
-The ranges are the blocks; each copy of a block is a unit. A tree halves the units among shards: at every level a node's
+Ranges of the hash are the blocks, more of them the more shards there are; each copy of a block is a unit. A tree halves the units among shards: at every level a node's
 units are drawn without replacement, which gives its halves multivariate-hypergeometric numbers of each source's units.
 A shard then takes that many units from the source's permuted order, disjoint from all other shards', and is shuffled
 by itself. Only sums by source and block are ever gathered.
@@ -15,11 +16,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from uncertainseq.llm.common import fresh, materialise
+from uncertainseq.llm.common import discard, fresh, materialise
 
 WEIGHTS, CAP, SEED, SHARDS = (5, 2, 1), 3, 10, 8
 #: Documents, each of the size nearest to what is missing, that are tried before the next prefix of fitting documents.
 CLOSING = 4
+#: Columns that name a document, with its number ``nth`` among equal rows.
+NAMES = ["doc_id", "source", "text_hash"]
+#: Equal rows are numbered in runs of so many.
+AT_ONCE = 4096
 
 
 def portable_hash(*parts: Column) -> Column:
@@ -29,9 +34,17 @@ def portable_hash(*parts: Column) -> Column:
 
 
 def sizes(docs: DataFrame, seed: int = SEED) -> DataFrame:
-    """(doc_id, source, size, place) of all documents: size in words, place in the source's order."""
+    """(doc_id, source, text_hash, nth, size, place) of all documents: size in words, place in the source's order.
+
+    Equal rows are counted, then numbered from the count, so no task sorts them.
+    """
     size = F.coalesce(F.regexp_count("text", F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
-    return docs.select("doc_id", "source", size.alias("size"), portable_hash(F.lit(seed), F.col("doc_id")).alias("place"))
+    rows = docs.select("doc_id", "source", F.xxhash64("text").alias("text_hash"), size.alias("size"))
+    counted = rows.groupBy(*NAMES, "size").agg(F.count("*").alias("n"))
+    runs = counted.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n") - 1) / AT_ONCE))).alias("run"))
+    last = F.least(F.col("n"), (F.col("run") + 1) * AT_ONCE)
+    each = runs.select(*NAMES, "size", F.explode(F.sequence(F.col("run") * AT_ONCE + 1, last)).alias("nth"))
+    return each.select(*NAMES, "nth", "size", portable_hash(F.lit(seed), *[F.col(c) for c in NAMES], F.col("nth")).alias("place"))
 
 
 def targets(base: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP) -> DataFrame:
@@ -102,7 +115,7 @@ def filled(placed: DataFrame, cap: float) -> DataFrame:
         one = state.join(closing.select("rank", "closing"), "rank", "left")
         return one.withColumn("took", F.col("took") | (F.coalesce(F.array_contains("closing", F.col("place")), F.lit(False)) & (F.col("size") > 0))).drop("closing")
 
-    none = F.array().cast("array<bigint>")
+    none, stored = F.array().cast("array<bigint>"), None
     while True:
         closing = gaps.select("rank", "gap", none.alias("closing"))
         for _ in range(CLOSING):
@@ -115,30 +128,39 @@ def filled(placed: DataFrame, cap: float) -> DataFrame:
             break
         further = materialise(cuts(rest), "cuts")
         held = state.join(gaps.withColumnRenamed("gap", "was"), "rank", "left").join(further.select("rank", "cut"), "rank", "left")
-        state = materialise(held.withColumn("took", F.col("took") | F.coalesce((F.col("size") > 0) & (F.col("size") <= F.col("was")) & (F.col("place") < F.col("cut")), F.lit(False))).drop("was", "cut"), "filled")
+        before, state = stored, materialise(held.withColumn("took", F.col("took") | F.coalesce((F.col("size") > 0) & (F.col("size") <= F.col("was")) & (F.col("place") < F.col("cut")), F.lit(False))).drop("was", "cut"), "filled")
+        stored = state
+        if before is not None:
+            discard(before)
         gaps = materialise(gaps.join(further.select("rank", F.col("gap").alias("now")), "rank", "left").select("rank", F.coalesce("now", "gap").alias("gap")), "gaps")
     return with_closing(nearest(gaps.select("rank", "gap", none.alias("closing")), "abs(size - gap) < gap"))
 
 
 def copies(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP, seed: int = SEED) -> DataFrame:
-    """(doc_id, source, rank, size, source_size, target, place, copies) of all documents; written, so that every use agrees."""
+    """(doc_id, source, text_hash, nth, rank, size, source_size, target, place, copies) of all documents; written, so that every use agrees."""
     base = materialise(sizes(docs, seed), "sizes")
     goal = materialise(targets(base, weights, cap).withColumn("passes", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size") + 1e-12)).otherwise(0).cast("long")), "targets")
     goal = goal.withColumn("rest", F.col("target") - F.col("passes") * F.col("source_size"))
     placed = base.withColumnRenamed("source", "own").join(goal, F.col("own").eqNullSafe(F.col("source"))).drop("own")
     marked = filled(placed, cap)
     more = F.col("took")
-    return materialise(marked.select("doc_id", "source", "rank", "size", "source_size", "target", "place", (F.col("passes") + more.cast("long")).alias("copies")), "copies")
+    return materialise(marked.select(*NAMES, "nth", "rank", "size", "source_size", "target", "place", (F.col("passes") + more.cast("long")).alias("copies")), "copies")
+
+
+def block_of(n: int) -> Column:
+    """The range of places, of 256 or, for many shards, 32 a shard, that a document lies in."""
+    return F.shiftright("place", 60 - max(8, n.bit_length() - 1 + 5))
 
 
 def shards(planned: DataFrame, n: int = SHARDS, seed: int = SEED) -> DataFrame:
     """(rank, block, copy, shard) of every unit: quotas by a splitting tree, then units of each source in permuted order.
 
-    ``n`` is a power of two. A unit is one copy of the documents of a source whose place lies in one of 256 ranges.
+    ``n`` is a power of two. A unit is one copy of the documents of a source whose place lies in one range; see ``block_of``. All units together
+    are (sources x ranges x copies), whatever the number of documents.
     """
     if n & (n - 1):
         raise ValueError("the number of shards must be a power of two")
-    block = F.shiftright("place", 52).alias("block")
+    block = block_of(n).alias("block")
     most = planned.filter("copies > 0").groupBy("rank", block).agg(F.max("copies").alias("most"))
     units = materialise(most.select("rank", "block", F.explode(F.sequence(F.lit(1).cast("long"), F.col("most"))).alias("copy")), "units")
     tree = units.withColumn("shard", F.lit(0).cast("long"))
@@ -158,24 +180,39 @@ def shards(planned: DataFrame, n: int = SHARDS, seed: int = SEED) -> DataFrame:
     return drawn.select("rank", "block", "copy", "shard")
 
 
+def plan_rows(docs: DataFrame, n: int, weights: tuple[int, ...], cap: float, seed: int) -> DataFrame:
+    """The rows of ``copies`` and the shards of each document's copies."""
+    planned = copies(docs, weights, cap, seed)
+    units = materialise(shards(planned, n, seed), "shards").groupBy("rank", "block").agg(F.sort_array(F.collect_list(F.struct("copy", "shard"))).alias("units"))
+    joined = planned.withColumn("block", block_of(n)).join(units, ["rank", "block"], "left")
+    where = F.when(F.col("copies") > 0, F.transform(F.slice("units", 1, F.greatest(F.col("copies"), F.lit(1)).cast("int")), lambda u: u["shard"])).otherwise(F.array().cast("array<bigint>"))
+    return joined.select(*planned.columns, where.alias("shards"))
+
+
 def mix_plan(docs: DataFrame, n: int = SHARDS, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP, seed: int = SEED) -> DataFrame:
     """A row per document: doc_id, size, source_size, target, taken, and the shards of its copies.
 
     Null text has size 0; documents of size 0 are taken in whole passes, which add no words. Null source is a source, the
-    last. A null doc_id has a place like any other; rows of one doc_id share a place and so a fate. No rows give no rows.
+    last. Every row is a document: rows that share a doc_id, lack one, or are equal in all are drawn one by one. No rows give no rows.
     """
-    planned = copies(docs, weights, cap, seed)
-    units = materialise(shards(planned, n, seed), "shards").groupBy("rank", "block").agg(F.sort_array(F.collect_list(F.struct("copy", "shard"))).alias("units"))
-    joined = planned.withColumn("block", F.shiftright("place", 52)).join(units, ["rank", "block"], "left")
-    where = F.when(F.col("copies") > 0, F.transform(F.slice("units", 1, F.greatest(F.col("copies"), F.lit(1)).cast("int")), lambda u: u["shard"])).otherwise(F.array().cast("array<bigint>"))
-    return joined.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"), where.alias("shards"))
+    rows = plan_rows(docs, n, weights, cap, seed)
+    return rows.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"), "shards")
 
 
 def mixture(docs: DataFrame, n: int | None = None, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP, seed: int = SEED) -> DataFrame:
-    """The mix itself: a row, with all columns of ``docs``, for every copy taken, grouped by shard and shuffled within it."""
+    """The mix itself: a row, with all columns of ``docs``, for every copy taken, grouped by shard and shuffled within it.
+
+    Rows alike in doc_id, source and text are numbered as ``sizes`` does; which of them has which number is left open.
+    """
     n = n or 1 << max(3, (int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
-    ident, shards_, copy, shard = (fresh(docs, x) for x in ("ident", "shards", "copy", "shard"))
-    planned = mix_plan(docs, n, weights, cap, seed).filter("size(shards) > 0").select(F.col("doc_id").alias(ident), F.col("shards").alias(shards_)).dropDuplicates([ident])
-    rows = docs.join(planned, F.col("doc_id").eqNullSafe(F.col(ident)))
+    text_hash, nth, shards_, copy, shard = (fresh(docs, x) for x in ("text_hash", "nth", "shards", "copy", "shard"))
+    taken = plan_rows(docs, n, weights, cap, seed).filter("size(shards) > 0").select(*[F.col(c).alias(f"mixed_{c}") for c in NAMES], F.col("nth").alias("mixed_nth"), F.col("shards").alias("mixed_shards"))
+    by_name = taken.groupBy(*[f"mixed_{c}" for c in NAMES]).agg(F.map_from_entries(F.collect_list(F.struct("mixed_nth", "mixed_shards"))).alias("mixed"))
+    named = docs.withColumn(text_hash, F.xxhash64("text"))
+    keys = [F.col("doc_id"), F.col("source"), F.col(text_hash)]
+    numbered = named.withColumn(nth, F.row_number().over(Window.partitionBy(*keys).orderBy(F.lit(1))).cast("long"))
+    same = [k.eqNullSafe(F.col(f"mixed_{c}")) for k, c in zip(keys, NAMES, strict=True)]
+    rows = numbered.join(by_name, same[0] & same[1] & same[2]).withColumn(shards_, F.try_element_at("mixed", F.col(nth)))
     flat = rows.select(*docs.columns, F.posexplode(shards_).alias(copy, shard))
-    return flat.repartition(shard).sortWithinPartitions(shard, portable_hash(F.lit(seed), F.lit("order"), F.col("doc_id"), F.col(copy))).select(docs.columns)
+    order = portable_hash(F.lit(seed), F.lit("order"), F.col("doc_id"), F.xxhash64("text"), F.col(copy))
+    return flat.repartition(shard).sortWithinPartitions(shard, order).select(docs.columns)
