@@ -2,8 +2,8 @@
 
 A prefix's projection is held by pointers: (prefix, sequence, events where a match of the prefix ends). One join with the
 flat table, hash-partitioned by sequence and kept, gives all extensions of all prefixes of a level; the first aggregate keeps
-that partitioning, so only sums a (prefix, extension) are shuffled. Those sums give the caps; the driver holds one row a
-surviving candidate. All match ends are kept: an item may join an event that is not the prefix's first match.
+that partitioning, so only sums a (prefix, extension) are shuffled. Those sums give the caps where they are; only what
+survives them reaches the driver, a row a candidate. All match ends are kept: an item may join an event that is not the prefix's first match.
 """
 
 from __future__ import annotations
@@ -12,7 +12,7 @@ import time
 from dataclasses import dataclass
 
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from uncertainseq.functions.sequences import suffix_max
@@ -40,7 +40,7 @@ def prepare(flat: DataFrame, partitions: int | None = None) -> DataFrame:
 
 def extensions(frontier: DataFrame, rows: DataFrame, prefixes: DataFrame) -> DataFrame:
     """(prefix, sequence, kind, item, best, ends) of every extension in every projected sequence."""
-    joined = frontier.join(rows, "seq_id").join(F.broadcast(prefixes), "prefix")
+    joined = frontier.join(rows, "seq_id").join(prefixes, "prefix")
     opens, joins = F.col("eid") > F.array_min("ends"), F.array_contains("ends", F.col("eid")) & (F.col("item_id") > F.col("last"))
     kinds = F.explode(F.filter(F.array(F.when(opens, F.lit("s")), F.when(joins, F.lit("i"))), lambda k: k.isNotNull()))
     return joined.select("prefix", "seq_id", kinds.alias("kind"), "item_id", "p", "eid").groupBy("prefix", "seq_id", "kind", "item_id").agg(F.max("p").alias("best"), F.collect_list("eid").alias("ends"))
@@ -51,17 +51,46 @@ def summed(grown: DataFrame) -> DataFrame:
     return grown.groupBy("prefix", "kind", "item_id").agg(F.sum("best").alias("total"), F.max("best").alias("peak"), F.count("*").alias("n"))
 
 
+#: Rows of a few numbers that may be sent to every executor; a larger frontier is joined by a shuffle.
+SENT_MOST = 200_000
+
+
+def sent(rows: list[tuple], schema: str, like: DataFrame) -> DataFrame:
+    """A table of the driver's rows, marked for broadcast where they are few enough."""
+    made = like.sparkSession.createDataFrame(rows, schema)
+    return F.broadcast(made) if len(rows) <= SENT_MOST else made
+
+
+def capped(grown: DataFrame, parents: DataFrame, weights: DataFrame, floor: float, cap: str, top: float | None) -> DataFrame:
+    """The extensions whose joint cap reaches ``floor``: (prefix, kind, item_id, peak, support_cap, weight_cap).
+
+    ``parents``: prefix, parent_peak, parent_weight (the largest in the prefix); ``top``: one weight bound for all, else the largest of
+    the prefix's projection.
+    """
+    known = summed(grown).join(weights, "item_id").join(parents, "prefix")
+    heaviest: Column = F.lit(top) if top is not None else F.max("w").over(Window.partitionBy("prefix"))
+    part = F.col("total") if cap == "tight" else F.col("peak") * F.col("n")
+    caps = known.select(
+        "prefix", "kind", "item_id", (F.col("parent_peak") * F.col("peak")).alias("peak"), (F.col("parent_peak") * part).alias("support_cap"),
+        F.greatest(heaviest, F.col("parent_weight"), F.col("w")).alias("weight_cap"),
+    )
+    return caps.filter(F.col("support_cap") * F.col("weight_cap") >= floor - EPSILON)
+
+
+class FrontierTooLarge(RuntimeError):
+    """A level holds more candidates than the caller allows; the answer would not be whole."""
+
+
 def grow(flat: DataFrame, weights: dict[int, float], floor: float, cap: str = "tight", weight_mode: str = "projected", max_len: int | None = None, max_frontier: int | None = None, stats: Stats | None = None) -> list[Candidate]:
     """All candidates: patterns whose joint cap, and that of every prefix, reaches ``floor``.
 
     ``cap``: tight (peak of the prefix times the sum of the extension's maxima) or loose (times its peak and count).
-    ``weight_mode``: projected, or global for the largest weight of all items. ``max_len`` and ``max_frontier`` bound the run;
-    a bound that was met is told in ``stats``.
+    ``weight_mode``: projected, or global for the largest weight of all items. ``max_len`` bounds the items of a
+    pattern, and ``stats`` tells where it was met; a level of more than ``max_frontier`` candidates is an error, since no part of it may be left out.
     """
     if cap not in ("tight", "loose") or weight_mode not in ("projected", "global"):
         raise ValueError("cap is tight or loose, weight_mode is projected or global")
     stats = stats if stats is not None else Stats()
-    spark = flat.sparkSession
     began = time.perf_counter()
     rows = prepare(flat)
     top = max(weights.values(), default=0.0)
@@ -71,34 +100,33 @@ def grow(flat: DataFrame, weights: dict[int, float], floor: float, cap: str = "t
     parents: dict[int, Candidate | None] = {0: None}
     kept = []
     stats.seconds["prepare"] = time.perf_counter() - began
+    weighed = sent([(k, float(w)) for k, w in weights.items()], "item_id int, w double", flat)
     while True:
         began = time.perf_counter()
-        sums = summed(grown).collect()  # a row a (prefix, extension)
-        stats.levels += 1
-        stats.peak_frontier_rows = max(stats.peak_frontier_rows, len(sums))
-        heaviest: dict[int, float] = {}
-        for r in sums:
-            heaviest[r["prefix"]] = max(heaviest.get(r["prefix"], 0.0), weights[r["item_id"]])
+        above = sent([(k, c.peak if c else 1.0, max((weights[x] for x, _ in c.pattern.steps), default=0.0) if c else 0.0) for k, c in parents.items()], "prefix long, parent_peak double, parent_weight double", flat)
+        seen = Observation()
+        watched = grown.observe(seen, F.count(F.lit(1)).alias("rows"))
+        survivors = capped(watched, above, weighed, floor, cap, top if weight_mode == "global" else None)
         level: list[Candidate] = []
-        for r in sorted(sums, key=lambda r: (r["prefix"], r["kind"], r["item_id"])):
+        for r in sorted(survivors.collect(), key=lambda r: (r["prefix"], r["kind"], r["item_id"])):
             parent = parents[r["prefix"]]
-            peak = parent.peak if parent else 1.0
             pattern = parent.pattern.extend(r["item_id"], r["kind"]) if parent else Pattern(((r["item_id"], "s"),))
-            reach = top if weight_mode == "global" else max(heaviest[r["prefix"]], *(weights[x] for x, _ in pattern.steps))
-            c = Candidate(pattern, peak * r["peak"], peak * (r["total"] if cap == "tight" else r["peak"] * r["n"]), reach, len(out) + len(level) + 1)
-            if c.joint_cap >= floor - EPSILON:
-                level.append(c)
+            level.append(Candidate(pattern, r["peak"], r["support_cap"], r["weight_cap"], len(out) + len(level) + 1))
+        stats.levels += 1
+        stats.peak_frontier_rows = max(stats.peak_frontier_rows, seen.get["rows"])
         out += level
         stats.seconds[f"level {stats.levels}"] = time.perf_counter() - began
-        if not level or (max_len and stats.levels >= max_len) or (max_frontier and len(level) > max_frontier):
+        if max_frontier and len(level) > max_frontier:
+            raise FrontierTooLarge(f"{len(level)} candidates of {stats.levels} items, {max_frontier} allowed")
+        if not level or (max_len and stats.levels >= max_len):
             stats.max_len_hit = bool(level)
             break
         parents = {c.ident: c for c in level}
         lookup = {p.pattern.steps: k for k, p in kept[-1][1].items()} if kept else {}
         named = [(lookup.get(c.pattern.steps[:-1], 0), c.pattern.steps[-1][1], c.pattern.steps[-1][0], c.ident) for c in level]
-        survivors = spark.createDataFrame(named, "prefix long, kind string, item_id int, ident long")
-        frontier = grown.join(F.broadcast(survivors), ["prefix", "kind", "item_id"]).select(F.col("ident").alias("prefix"), "seq_id", "ends")
-        prefixes = spark.createDataFrame([(c.ident, c.pattern.steps[-1][0]) for c in level], "prefix long, last int")
+        survivors = sent(named, "prefix long, kind string, item_id int, ident long", flat)
+        frontier = grown.join(survivors, ["prefix", "kind", "item_id"]).select(F.col("ident").alias("prefix"), "seq_id", "ends")
+        prefixes = sent([(c.ident, c.pattern.steps[-1][0]) for c in level], "prefix long, last int", flat)
         new = extensions(frontier, rows, prefixes).persist(StorageLevel.MEMORY_AND_DISK)
         kept.append((grown, parents))
         if len(kept) > 1:
