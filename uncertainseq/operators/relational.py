@@ -48,6 +48,21 @@ def previous_item(flat: DataFrame, item: str = "item") -> DataFrame:
     return flat.withColumn("previous", F.lag(item).over(Window.partitionBy("seq_id").orderBy("eid", item)))
 
 
+def next_items(flat: DataFrame, k: int) -> DataFrame:
+    """(item, item2, support, rank): the k items with the largest expected support of following an item, in whole percents of percents; ties go by name."""
+    other = flat.select("seq_id", F.col("eid").alias("eid2"), F.col("item").alias("item2"), F.col("p_pct").cast("long").alias("p2"))
+    later = flat.join(other, "seq_id").filter("eid2 > eid").groupBy("seq_id", "item", "item2").agg(F.max(F.col("p_pct") * F.col("p2")).alias("p"))
+    support = later.groupBy("item", "item2").agg(F.sum("p").alias("support"))
+    return support.withColumn("rank", F.row_number().over(Window.partitionBy("item").orderBy(F.desc("support"), "item2"))).filter(F.col("rank") <= k)
+
+
+def deviation(flat: DataFrame, expected: DataFrame) -> DataFrame:
+    """(seq_id, steps, unexpected): steps from an item to the next one, and those that ``expected`` (item, item2) does not hold."""
+    steps = previous_item(flat).filter("previous is not null").select("seq_id", "previous", "item")
+    known = expected.select(F.col("item").alias("previous"), F.col("item2").alias("item"), F.lit(1).alias("usual"))
+    return steps.join(known, ["previous", "item"], "left").groupBy("seq_id").agg(F.count("*").alias("steps"), F.count(F.when(F.col("usual").isNull(), 1)).alias("unexpected"))
+
+
 def hash_sample(df: DataFrame, fraction: float, seed: int = 0) -> DataFrame:
     """Whole sequences by a hash of seq_id; for probing thresholds, never for exact results."""
     return df.filter(F.pmod(F.xxhash64(F.lit(seed), F.col("seq_id")), F.lit(1_000_000)) < int(fraction * 1_000_000))

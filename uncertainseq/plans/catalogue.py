@@ -19,7 +19,7 @@ from uncertainseq.operators.mining import Database, mine_by_group, mine_loose, m
 from uncertainseq.operators.scoring import expected_supports
 from uncertainseq.plans import workloads
 from uncertainseq.runtime import ship
-from uncertainseq.sources.adapters import ADAPTERS, EN_WORDS, load, occurrences
+from uncertainseq.sources.adapters import ADAPTERS, EN_WORDS, TURN_WORDS, load, occurrences
 
 Query = Callable[[SparkSession, str], DataFrame]
 PATTERNS = "pattern string, n_items int, n_events int, support bigint, weight bigint"
@@ -32,7 +32,8 @@ def rows_of(scored, names) -> list[tuple]:
 
 def cte(name: str, extra: str = "") -> str:
     a = ADAPTERS[name]
-    return "with " + (EN_WORDS + ",\n" if "en_words" in a.source else "") + a.sql() + extra
+    words = {"en_words": EN_WORDS + ",\n", "turn_words": TURN_WORDS + ",\n"}.get(a.source, "")
+    return "with " + words + a.sql() + extra
 
 
 def enumerated(max_len: int, rows: str = "flat", name: str = "pats", shapes: list[tuple[str, ...]] | None = None) -> str:
@@ -213,7 +214,7 @@ select * from out where status is not null"""
 
 def transitions_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     db = load(ship(spark), sf_dir, "basket_drift")
-    m = PromisingIncrementalMiner(Params(0.005, buffer_ratio=0.7, max_len=1))
+    m = PromisingIncrementalMiner(Params(0.005, buffer_ratio=0.7, max_len=2))
     total = db.totals().sequences
     parts = workloads.slice_batches(db, [total // 2, total])
     before = dict(m.start(parts[0], 0))
@@ -233,19 +234,35 @@ def completeness_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def ratio_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     parts = increments_of(load(ship(spark), sf_dir, "basket_drift"), 0.2, 2)
-    return spark.createDataFrame(workloads.buffer_ratio_sweep(parts, 0.005, [0.5, 0.7, 0.85, 1.0], 1), f"ratio double, {CURVE}")
+    return spark.createDataFrame(workloads.buffer_ratio_sweep(parts, 0.005, [0.5, 0.6, 0.7, 0.85, 1.0], 2), f"ratio double, {CURVE}")
 
 
 def update_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame(workloads.update_ratio_sweep(load(ship(spark), sf_dir, "basket_drift"), 0.005, 0.2, [0.1, 0.3], 1, (1, 2)), f"ratio double, increments int, {CURVE}")
+    return spark.createDataFrame(workloads.update_ratio_sweep(load(ship(spark), sf_dir, "basket_drift"), 0.005, 0.2, [0.1, 0.3], 2, (1, 5)), f"ratio double, increments int, {CURVE}")
 
 
 def growth_query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame(workloads.growth_sweep(load(ship(spark), sf_dir, "basket_brand"), 0.01, 0.3, 1), f"sequences int, {CURVE}")
+    return spark.createDataFrame(workloads.growth_sweep(load(ship(spark), sf_dir, "basket_brand"), 0.01, 0.3, 2), f"sequences int, {CURVE}")
 
 
 def initial_query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame(workloads.initial_size_sweep(load(ship(spark), sf_dir, "basket_drift"), 0.005, [0.2, 0.4], 1), f"initial double, {CURVE}")
+    return spark.createDataFrame(workloads.initial_size_sweep(load(ship(spark), sf_dir, "basket_drift"), 0.005, [0.2, 0.4, 0.6], 2), f"initial double, {CURVE}")
+
+
+def runtime_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of both miners, over supports and sets, with the same bound on length."""
+    rows = []
+    for name, supports in (("click_type", [0.01, 0.05]), ("cust_type", [0.3, 0.4])):
+        db = load(ship(spark), sf_dir, name)
+        rows += [(name, m, s, c, f, fp, sec) for m, s, c, f, fp, sec in workloads.candidate_sweep(db, supports, 2)]
+    return spark.createDataFrame(rows, "name string, miner string, min_sup double, candidates int, frequent int, false_positives double, seconds double")
+
+
+def speed_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of the incremental miners over half of the sequences and five increments, against mining anew."""
+    db = load(ship(spark), sf_dir, "cust_type")
+    rows = workloads.incremental_sweep(db, [0.3], increments_of(db, 0.5, 5), 2)
+    return spark.createDataFrame(workloads.speed_ups(rows), "min_sup double, miner string, seconds double, saved double, times double")
 
 
 def compare_query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -312,6 +329,7 @@ QUERIES: dict[str, Query] = {
     "mine_static_hist": mined("cust_type", 0.3, 3),
     "mine_static_factor": mined("click_type", 0.02, 2, factor=0.75),
     "mine_unit_weight": mined("cust_type", 0.3, 2, unit=True),
+    "mine_static_hist_pairs": mined("cust_type", 0.3, 2),
     "mine_loose_hist": mined("cust_type", 0.3, 2, loose=True),
     "mine_maximal": mined("click_type", 0.01, 2, keep=maximal),
     "mine_closed": mined("click_type", 0.01, 2, keep=closed),
@@ -322,6 +340,8 @@ QUERIES: dict[str, Query] = {
     "remine_update": incremental_query(RemineBaseline),
     "mine_by_segment": segments_query,
     "candidates_compare": compare_query,
+    "runtime_compare": runtime_query,
+    "incremental_speed": speed_query,
     "sigma_sweep": sigma_query,
     "status_transitions": transitions_query,
     "completeness_curve": completeness_curve,
@@ -357,6 +377,7 @@ ORACLES: dict[str, str] = {
     "mine_static_hist": mined_sql("cust_type", 0.3, 3),
     "mine_static_factor": mined_sql("click_type", 0.02, 2, factor=0.75),
     "mine_unit_weight": mined_sql("cust_type", 0.3, 2, unit=True),
+    "mine_static_hist_pairs": mined_sql("cust_type", 0.3, 2),
     "mine_loose_hist": mined_sql("cust_type", 0.3, 2),
     "mine_maximal": compact_sql("click_type", 0.01),
     "mine_closed": compact_sql("click_type", 0.01, "and o.support >= 100 * m.support"),

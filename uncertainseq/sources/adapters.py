@@ -49,6 +49,8 @@ ADAPTERS = {
 TABLES = ("events", "lineitem", "part", "orders", "documents", "conversations")
 EN_WORDS = "en_words as (select doc_id, unnest(ws) word, generate_subscripts(ws, 1) pos from (select doc_id, regexp_extract_all(lower(text), '[a-z]+') ws from documents where lang = 'en'))"
 
+TURN_WORDS = "turn_words as (select conv_id, turn, unnest(list_distinct(list_concat([role], regexp_extract_all(lower(coalesce(text, '')), '[a-z]+')))) word from conversations)"
+
 
 def views(spark: SparkSession, sf_dir: str, adapter: Adapter) -> None:
     """Temporary views of the tables that an adapter names."""
