@@ -118,3 +118,25 @@ def test_fingerprints_against_brute_jaccard_with_classes(spark):
         if one and two:
             assert got[k].near_next == pytest.approx(brute_jaccard(one, two, False), abs=0.15)
             assert got[k].near_edited == pytest.approx(brute_jaccard(one, fingerprint.edited(one, two), False), abs=0.15)
+
+
+def balanced(rows, truth):
+    """Mean of the shares of either label that are told right."""
+    return np.mean([np.mean([r.predicted == y for r in rows if truth[r.doc_id] == y]) for y in (0, 1)])
+
+
+def test_learned_scores_beat_constant_and_shuffled_labels(spark):
+    """Held-out balanced accuracy at sf0.01; a constant answer has 0.5, and so has a model of shuffled labels, nearly."""
+    from uncertainseq.llm import quality, toxicity
+    from uncertainseq.llm.common import table
+
+    sf = "/root/testdata/sf0.01"
+    docs, marks = table(spark, sf, "documents"), table(spark, sf, "labels").cache()
+    known = marks.collect()
+    order = np.random.default_rng(0).permutation(len(known))
+    mixed = spark.createDataFrame([(r.doc_id, known[k].quality, known[k].toxic) for r, k in zip(known, order, strict=True)], marks.schema)
+    for build, label in ((quality.quality_table, "quality"), (toxicity.toxicity_table, "toxic")):
+        truth = {r.doc_id: r[label] for r in known}
+        held = lambda t: [r for r in t.collect() if r.held_out and r.doc_id in truth]  # noqa: B023, E731
+        assert balanced(held(build(docs, marks)), truth) >= 0.8
+        assert balanced(held(build(docs, mixed)), truth) <= 0.7
