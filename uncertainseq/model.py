@@ -123,6 +123,7 @@ class Stats:
     trie_nodes: int = 0
     levels: int = 0
     max_len_hit: bool = False
+    local_prefixes: int = 0
     seconds: dict[str, float] = field(default_factory=dict)
 
 

@@ -81,13 +81,29 @@ class FrontierTooLarge(RuntimeError):
     """A level holds more candidates than the caller allows; the answer would not be whole."""
 
 
-def grow(flat: DataFrame, weights: dict[int, float], floor: float, cap: str = "tight", weight_mode: str = "projected", max_len: int | None = None, max_frontier: int | None = None, stats: Stats | None = None) -> list[Candidate]:
+def grown_locally(frontier: DataFrame, rows: DataFrame, level: list[Candidate], most: int, growth, weights: dict[int, float], stats: Stats) -> tuple[set[int], list]:
+    """Prefixes of ``level`` whose projections hold at most ``most`` occurrences, and the candidates below them."""
+    sizes = frontier.join(rows.groupBy("seq_id").agg(F.count("*").alias("held")), "seq_id").groupBy("prefix").agg(F.sum("held").alias("held"))
+    small = {r["prefix"] for r in sizes.filter(F.col("held") <= most).select("prefix").collect()}  # a row a prefix, as in ``level``
+    known = [(c.ident, c.pattern.steps[-1][0], c.pattern.n_items, float(c.peak), max(weights[x] for x, _ in c.pattern.steps)) for c in level if c.ident in small]
+    if not known:
+        return small, []
+    table = sent(known, "prefix long, last int, depth int, parent_peak double, parent_weight double", rows)
+    stats.local_prefixes += len(known)
+    joined = frontier.join(table, "prefix").join(rows, "seq_id")
+    return small, joined.groupBy("prefix").applyInPandas(growth, "prefix long, steps string, peak double, support_cap double, weight_cap double").collect()
+
+
+def grow(flat: DataFrame, weights: dict[int, float], floor: float, cap: str = "tight", weight_mode: str = "projected", max_len: int | None = None, max_frontier: int | None = None, stats: Stats | None = None, local_rows: int = 0) -> list[Candidate]:
     """All candidates: patterns whose joint cap, and that of every prefix, reaches ``floor``.
 
     ``cap``: tight (peak of the prefix times the sum of the extension's maxima) or loose (times its peak and count).
     ``weight_mode``: projected, or global for the largest weight of all items. ``max_len`` bounds the items of a
     pattern, and ``stats`` tells where it was met; a level of more than ``max_frontier`` candidates is an error, since no part of it may be left out.
+    Prefixes whose projected sequences hold at most ``local_rows`` occurrences together are grown to their end in one task each (0: none).
     """
+    from uncertainseq.operators.local import local_growth, parsed_steps
+
     if cap not in ("tight", "loose") or weight_mode not in ("projected", "global"):
         raise ValueError("cap is tight or loose, weight_mode is projected or global")
     stats = stats if stats is not None else Stats()
@@ -119,13 +135,22 @@ def grow(flat: DataFrame, weights: dict[int, float], floor: float, cap: str = "t
         if max_frontier and len(level) > max_frontier:
             raise FrontierTooLarge(f"{len(level)} candidates of {stats.levels} items, {max_frontier} allowed")
         if not level or (max_len and stats.levels >= max_len):
-            stats.max_len_hit = bool(level)
+            stats.max_len_hit |= bool(level)
             break
         parents = {c.ident: c for c in level}
         lookup = {p.pattern.steps: k for k, p in kept[-1][1].items()} if kept else {}
         named = [(lookup.get(c.pattern.steps[:-1], 0), c.pattern.steps[-1][1], c.pattern.steps[-1][0], c.ident) for c in level]
         survivors = sent(named, "prefix long, kind string, item_id int, ident long", flat)
         frontier = grown.join(survivors, ["prefix", "kind", "item_id"]).select(F.col("ident").alias("prefix"), "seq_id", "ends")
+        if local_rows:
+            ended = grown_locally(frontier, rows, level, local_rows, local_growth(weights, floor, cap, top if weight_mode == "global" else None, max_len), weights, stats)
+            for r in ended[1]:
+                head = parents[r["prefix"]].pattern.steps
+                out.append(Candidate(Pattern((*head, *parsed_steps(r["steps"]))), r["peak"], r["support_cap"], r["weight_cap"], 0))
+            level = [c for c in level if c.ident not in ended[0]]
+            stats.max_len_hit |= any(c.pattern.n_items == max_len for c in out)
+            if not level:
+                break
         prefixes = sent([(c.ident, c.pattern.steps[-1][0]) for c in level], "prefix long, last int", flat)
         new = extensions(frontier, rows, prefixes).persist(StorageLevel.MEMORY_AND_DISK)
         kept.append((grown, parents))

@@ -65,7 +65,7 @@ class MiningResult:
         return wrong, 100.0 * wrong / len(self.candidates) if self.candidates else 0.0
 
 
-def mine_static(db: Database, params: Params, cap: str = "tight", weight_mode: str = "projected", scorer: str = "auto", max_frontier: int | None = None, floor: float | None = None) -> MiningResult:
+def mine_static(db: Database, params: Params, cap: str = "tight", weight_mode: str = "projected", scorer: str = "auto", max_frontier: int | None = None, floor: float | None = None, local_rows: int = 0) -> MiningResult:
     """All patterns whose weighted support reaches ``params.buffer_ratio`` of the frequent floor; those below that floor are ``semi``."""
     stats = Stats()
     total = db.totals()
@@ -73,7 +73,7 @@ def mine_static(db: Database, params: Params, cap: str = "tight", weight_mode: s
     low = limits.buffer if floor is None else floor
     if not total.sequences or low <= 0:
         return MiningResult([], [], {}, low, stats)
-    found = grow(db.flat, db.weights, low, cap, weight_mode, params.max_len, max_frontier, stats)
+    found = grow(db.flat, db.weights, low, cap, weight_mode, params.max_len, max_frontier, stats, local_rows)
     began = time.perf_counter()
     supports = expected_supports(db.sequences(), [c.pattern for c in found], scorer, db.flat)
     stats.seconds["scoring"] = time.perf_counter() - began

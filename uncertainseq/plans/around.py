@@ -8,12 +8,15 @@ from pyspark.sql import functions as F
 from uncertainseq.model import Params
 from uncertainseq.operators import relational
 from uncertainseq.operators.incremental import BufferedIncrementalMiner
+from uncertainseq.operators.local import mine_groups
 from uncertainseq.operators.mining import mine_static
-from uncertainseq.plans.catalogue import PATTERNS, SPLIT, Query, caps_query, caps_sql, cte, enumerated, floor_sql, incremental_query, incremental_sql, mined, mined_sql, rows_of, score
+from uncertainseq.plans.catalogue import PATTERNS, SPLIT, Query, caps_query, caps_sql, cte, enumerated, floor_sql, incremental_query, incremental_sql, mined, mined_sql, rows_of, score, segments_sql
 from uncertainseq.plans.workloads import WORKED
 from uncertainseq.runtime import ship
 from uncertainseq.sources.adapters import load, occurrences
 
+#: Occurrences of a projection that one task of the hybrid miner grows to its end.
+LOCAL_ROWS = 20_000
 ITEMS_OF = ",|\\)\\("
 HALF_SUPPORT = 0.44
 
@@ -161,6 +164,20 @@ n as (select seq_id, count(*) len from flat group by 1)
 select count(*) sequences, cast(sum(len) as bigint) occurrences, cast(max(len) as bigint) longest, (select count(distinct item) from flat) items from n"""
 
 
+def mine_hybrid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The static miner, with small projections grown to their end in one task each."""
+    db = load(ship(spark), sf_dir, "cust_type")
+    return spark.createDataFrame(rows_of(mine_static(db, Params(0.3, max_len=2), local_rows=LOCAL_ROWS).patterns, db.names), PATTERNS)
+
+
+def mine_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The static miner on the customers of each market segment."""
+    db = load(ship(spark), sf_dir, "cust_type")
+    key = spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.col("c_custkey").cast("long").alias("seq_id"), F.col("c_mktsegment").alias("segment"))
+    rows = [(name, r[0], r[3]) for name, found in mine_groups(db, key, Params(0.4, max_len=2)).items() for r in rows_of(found.patterns, db.names)]
+    return spark.createDataFrame(rows, "segment string, pattern string, support long")
+
+
 def parsed_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The worked example's sequences, read from their written form."""
     written = [(k, "".join("(" + ", ".join(f"{x}:{p}" for x, p in e.items()) + ")" for e in events)) for k, events in WORKED.items()]
@@ -174,9 +191,11 @@ QUERIES: dict[str, Query] = {
     "cap_tightness": cap_tightness, "topk_by_length": top_by_length, "state_rollup": state_rollup, "lost_patterns": changed("lost"), "gained_patterns": changed("gained"),
     "pattern_trend_pivot": item_trend, "next_item": next_item, "sequence_deviation": sequence_deviation, "session_sequences": user_sessions, "last_value_as_of": last_value_before,
     "events_within_an_hour": events_within, "event_properties": event_properties, "turn_profile": turn_profile, "parsed_sequences": parsed_sequences,
+    "mine_hybrid": mine_hybrid, "mine_segments_static": mine_segments,
 }
 ORACLES: dict[str, str] = {
     "cap_tightness": CAP_TIGHTNESS, "topk_by_length": TOP_BY_LENGTH, "state_rollup": STATE_ROLLUP, "lost_patterns": changed_sql("lost"), "gained_patterns": changed_sql("gained"),
     "pattern_trend_pivot": ITEM_TREND, "next_item": NEXT_ITEM, "sequence_deviation": DEVIATION, "session_sequences": SESSIONS, "last_value_as_of": LAST_VALUE,
     "events_within_an_hour": WITHIN, "event_properties": PROPERTIES, "turn_profile": TURN_PROFILE, "parsed_sequences": PARSED,
+    "mine_hybrid": mined_sql("cust_type", 0.3, 2), "mine_segments_static": segments_sql(),
 }
