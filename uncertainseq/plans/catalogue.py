@@ -30,10 +30,10 @@ def rows_of(scored, names) -> list[tuple]:
     return [(s.pattern.text(names), s.pattern.n_items, s.pattern.n_events, round(s.support * 100**s.pattern.n_items), round(s.weight * 100 * s.pattern.n_items)) for s in scored]
 
 
-def cte(name: str, extra: str = "") -> str:
+def cte(name: str, extra: str = "", sd: float = 25.0) -> str:
     a = ADAPTERS[name]
     words = {"en_words": EN_WORDS + ",\n", "turn_words": TURN_WORDS + ",\n"}.get(a.source, "")
-    return "with " + words + a.sql() + extra
+    return "with " + words + a.sql(sd=sd) + extra
 
 
 def enumerated(max_len: int, rows: str = "flat", name: str = "pats", shapes: list[tuple[str, ...]] | None = None) -> str:
@@ -157,23 +157,85 @@ def caps_query(cap: str) -> Query:
     return query
 
 
+def caps_cte(name: str, cap: str, min_sup: float, levels: int, unit: bool = False, bound: str = "projected", sd: float = 25.0) -> str:
+    """Growth by caps, unrolled: c1, c2, ... hold the candidates of each length, ``found`` all of them."""
+    part = "t.total" if cap == "tight" else "t.best * t.n"
+    weight = "1.0::double" if unit else "w_pct / 100.0"
+    floor = floor_sql(min_sup=min_sup, unit=unit)
+    heaviest = "max(t.wt) over (partition by t.prefix)" if bound == "projected" else "(select max(wt) from s)"
+    out = cte(name, sd=sd) + f""",
+s as (select seq_id, eid, item, item_id, {weight} wt,
+  max(p_pct) over (partition by seq_id, item order by eid rows between current row and unbounded following) / 100.0 p
+  from flat join w using (item)),
+c0 as (select '' pattern, 1.0::double peak, 0.0::double heavy),
+x1 as (select seq_id, '' as prefix, 's' kind, item, item_id, wt, eid, p from s)"""
+    for k in range(1, levels + 1):
+        out += f""",
+t{k} as (select prefix, kind, item, item_id, any_value(wt) wt, sum(m) total, max(m) best, count(*) n from
+  (select prefix, kind, item, item_id, seq_id, any_value(wt) wt, max(p) m from x{k} group by prefix, kind, item, item_id, seq_id)
+  group by prefix, kind, item, item_id),
+c{k} as (select * from (
+  select case t.kind when 's' then t.prefix || '(' || t.item || ')' else left(t.prefix, length(t.prefix) - 1) || ',' || t.item || ')' end pattern,
+    t.prefix, t.kind, t.item, t.item_id, c.peak * t.best peak, c.peak * {part} support_cap,
+    greatest({heaviest}, c.heavy, t.wt) weight_cap, greatest(c.heavy, t.wt) heavy
+  from t{k} t join c{k - 1} c on c.pattern = t.prefix) where support_cap * weight_cap >= {floor} - 1e-9)"""
+        if k < levels:
+            out += f""",
+e{k} as (select distinct x.seq_id, c.pattern, c.item_id, x.eid from x{k} x join c{k} c on c.prefix = x.prefix and c.kind = x.kind and c.item = x.item),
+f{k} as (select seq_id, pattern, min(eid) low from e{k} group by seq_id, pattern),
+x{k + 1} as (select f.seq_id, f.pattern prefix, 's' kind, s.item, s.item_id, s.wt, s.eid, s.p from f{k} f join s on s.seq_id = f.seq_id and s.eid > f.low
+  union all select e.seq_id, e.pattern, 'i', s.item, s.item_id, s.wt, s.eid, s.p from e{k} e join s on s.seq_id = e.seq_id and s.eid = e.eid and s.item_id > e.item_id)"""
+    every = " union all ".join(f"select pattern, peak, support_cap, weight_cap from c{k}" for k in range(1, levels + 1))
+    return out + f",\nfound as ({every})"
+
+
 def caps_sql(cap: str) -> str:
-    part = (lambda total, peak, n: total) if cap == "tight" else (lambda total, peak, n: f"{peak} * {n}")
-    return cte("cust_type") + f""",
-s as (select seq_id, eid, item, item_id, w_pct / 100.0 wt, max(p_pct) over (partition by seq_id, item order by eid rows between current row and unbounded following) / 100.0 p from flat join w using (item)),
-one as (select item, item_id, any_value(wt) wt, sum(m) total, max(m) peak, count(*) n from (select seq_id, item, item_id, wt, max(p) m from s group by all) group by 1, 2),
-top as (select max(wt) wt from one),
-cap1 as (select item, item_id, wt, peak, {part('total', 'peak', 'n')} support_cap, (select wt from top) weight_cap from one),
-keep as (select * from cap1 where support_cap * weight_cap >= {floor_sql(min_sup=0.3)} - 1e-9),
-firsts as (select seq_id, item, item_id, min(eid) low from s group by all),
-ext as (select f.item a, s.item b, 's' kind, s.seq_id, s.wt, max(s.p) m from firsts f join s on s.seq_id = f.seq_id and s.eid > f.low group by all
-  union all select x.item a, s.item b, 'i' kind, s.seq_id, s.wt, max(s.p) m from s x join s on s.seq_id = x.seq_id and s.eid = x.eid and s.item_id > x.item_id group by all),
-two as (select a, b, kind, any_value(wt) wt, sum(m) total, max(m) peak, count(*) n from ext group by 1, 2, 3),
-reach as (select a, max(wt) wt from two group by 1),
-cap2 as (select a, b, kind, k.peak * t.peak peak, k.peak * {part('t.total', 't.peak', 't.n')} support_cap, greatest(r.wt, k.wt, t.wt) weight_cap from two t join keep k on k.item = t.a join reach r using (a)),
-r as (select '(' || item || ')' pattern, peak, support_cap, weight_cap from keep union all
-  select case kind when 's' then '(' || a || ')(' || b || ')' else '(' || a || ',' || b || ')' end, peak, support_cap, weight_cap from cap2 where support_cap * weight_cap >= {floor_sql(min_sup=0.3)} - 1e-9)
-select pattern, round(cast(peak as double), 6) peak, round(cast(support_cap as double), 4) support_cap, round(cast(weight_cap as double), 6) weight_cap, round(cast(support_cap * weight_cap as double), 4) joint_cap from r"""
+    return caps_cte("cust_type", cap, 0.3, 2) + """
+select pattern, round(peak, 6) peak, round(support_cap, 4) support_cap, round(weight_cap, 6) weight_cap, round(support_cap * weight_cap, 4) joint_cap from found"""
+
+
+def counts_sql(name: str, cap: str, min_sup: float, max_len: int, unit: bool = False, bound: str = "projected", sd: float = 25.0) -> str:
+    """One row: how many candidates growth gives, and how many patterns enumeration finds frequent."""
+    frequent = f"{score(unit=unit)} >= {floor_sql(min_sup=min_sup, unit=unit)} - 1e-9"
+    return caps_cte(name, cap, min_sup, max_len, unit, bound, sd) + enumerated(max_len) + f"""
+select cast((select count(*) from found) as int) candidates, cast((select count(*) from pats where {frequent}) as int) frequent"""
+
+
+def miners_sql(name: str, supports: list[float], max_len: int, spreads: tuple[float, ...] = ()) -> str:
+    """Counts of the static and the loose-cap miner at unit weights, over supports, or over spreads at one support."""
+    cases = [("sd", sd, supports[0], 100 * sd) for sd in spreads] or [("min_sup", x, x, 25.0) for x in supports]
+    return "\nunion all\n".join(
+        f"select {x}::double {label}, '{miner}' miner, candidates, frequent, case when candidates > 0 then 100::double * (candidates - frequent) / candidates else 0 end false_positives "
+        f"from ({counts_sql(name, miner, sup, max_len, True, 'projected' if miner == 'tight' else 'global', sd)})"
+        for label, x, sup, sd in cases
+        for miner in ("tight", "loose")
+    )
+
+
+def bounds_sql(name: str, min_sup: float, max_len: int) -> str:
+    return "\nunion all\n".join(f"select '{b}' as mode, candidates from ({counts_sql(name, 'tight', min_sup, max_len, bound=b)})" for b in ("projected", "global"))
+
+
+def units_sql(name: str, min_sup: float, max_len: int) -> str:
+    frequent = [f"{score(unit=unit)} >= {floor_sql(min_sup=min_sup, unit=unit)} - 1e-9" for unit in (False, True)]
+    both = f"(select cast(count(*) as int) from ({cte(name, enumerated(max_len))} select * from pats where {' and '.join(frequent)}))"
+    return "\nunion all\n".join(f"select '{m}' as mode, candidates, frequent, {both} as both from ({counts_sql(name, 'tight', min_sup, max_len, unit)})" for m, unit in (("weighted", False), ("unit", True)))
+
+
+def transitions_sql(name: str, min_sup: float, ratio: float) -> str:
+    """Classes before and after the second half of the sequences (ids from 1 without gaps), with the promising patterns of that half."""
+    half = "(select count(distinct seq_id) // 2 from flat)"
+    own = f"{2 * min_sup * ratio} * (select count(distinct seq_id) from new) * (select sum(w_pct) / (100.0 * count(*)) from new join w using (item))"
+    return cte(name) + f""",
+old as (select * from flat where seq_id <= {half}),
+new as (select * from flat where seq_id > {half})""" + enumerated(2, "old", "was") + enumerated(2, "new", "got") + f""",
+before as (select pattern, n_items, wsum, sup, case when {score()} >= {floor_sql('old', min_sup)} - 1e-9 then 'frequent' else 'semi' end status
+  from was where {score()} >= {ratio} * {floor_sql('old', min_sup)} - 1e-9),
+merged as (select b.pattern, b.n_items, b.wsum, b.sup + coalesce(g.sup, 0) sup, b.status from before b left join got g using (pattern)
+  union all select pattern, n_items, wsum, sup, 'dropped' from got where {score()} >= {own} - 1e-9 and pattern not in (select pattern from before)),
+moved as (select status, {score()} s from merged)
+select status as was, case when s >= {floor_sql(min_sup=min_sup)} - 1e-9 then 'frequent' when s >= {ratio} * {floor_sql(min_sup=min_sup)} - 1e-9 then 'semi'
+  when s >= {own} - 1e-9 then 'promising' else 'dropped' end became, count(*) patterns from moved group by 1, 2"""
 
 
 def sweep_factor(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -270,12 +332,15 @@ def compare_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(m, s, c, f, fp) for m, s, c, f, fp, _ in rows], "miner string, min_sup double, candidates int, frequent int, false_positives double")
 
 
+SPREADS = (0.05, 0.1, 0.15, 0.2, 0.25, 0.3)
+
+
 def sigma_query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame(workloads.sigma_sweep(ship(spark), sf_dir, "click_type", 0.05, [0.05, 0.15, 0.3], 2), "sd double, miner string, candidates int, frequent int, false_positives double")
+    return spark.createDataFrame(workloads.sigma_sweep(ship(spark), sf_dir, "click_type", 0.01, list(SPREADS), 3), "sd double, miner string, candidates int, frequent int, false_positives double")
 
 
 def ablation_query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame(workloads.weight_bound_ablation(load(ship(spark), sf_dir, "basket_drift"), 0.005, 2), "mode string, candidates int")
+    return spark.createDataFrame(workloads.weight_bound_ablation(load(ship(spark), sf_dir, "basket_drift"), 0.0006, 2), "mode string, candidates int")
 
 
 def unit_query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -387,4 +452,9 @@ ORACLES: dict[str, str] = {
     "promising_update": incremental_sql("promising"),
     "remine_update": incremental_sql("remine"),
     "mine_by_segment": segments_sql(),
+    "candidates_compare": miners_sql("click_type", [0.01, 0.05], 3),
+    "sigma_sweep": miners_sql("click_type", [0.01], 3, SPREADS),
+    "weight_bound_ablation": bounds_sql("basket_drift", 0.0006, 2),
+    "unit_vs_weighted": units_sql("cust_type", 0.3, 2),
+    "status_transitions": transitions_sql("basket_drift", 0.005, 0.7),
 }
