@@ -144,3 +144,24 @@ def test_word_patterns_read_whole_texts(spark, tmp_path):
     spark.createDataFrame([(k, t, "en") for k, t in enumerate(texts)], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {(r.seq_id, r.eid, r.item) for r in occurrences(spark, str(tmp_path), "words").collect()}
     assert got == {(k, i, w) for k, t in enumerate(texts) for i, w in enumerate(t.split(" "), 1)}
+
+
+def test_node_visits_count_pairs_of_positions(spark):
+    from uncertainseq.operators.scoring import node_visits
+
+    rows = [(1, 1, 0, 0.5), (1, 1, 1, 0.5), (1, 2, 0, 0.5), (1, 3, 1, 0.5), (2, 1, 0, 0.5)]
+    flat = spark.createDataFrame(rows, "seq_id long, eid int, item_id int, p double")
+    found = {r["events"]: tuple(r)[1:] for r in node_visits(flat, 2).collect()}
+    assert found == {3: (1, 18, 4 + 2 + 3), 1: (1, 6, 1)}  # second and third events follow two and three occurrences
+    assert node_visits(flat.limit(0), 2).count() == 0
+
+
+def test_worked_example_equals_its_literal_sql(spark):
+    import duckdb
+
+    from uncertainseq.plans.worked import simulation_sql
+    from uncertainseq.plans.workloads import simulate_worked_example
+
+    want = {(m, k, s, p): round(v, 2) for m, k, s, p, v in duckdb.sql(simulation_sql()).fetchall()}
+    got = {(m, k, s, p): round(v, 2) for m, k, s, p, v in simulate_worked_example(spark)}
+    assert got == want and len(got) == 47

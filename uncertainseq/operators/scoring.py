@@ -158,3 +158,17 @@ def score_levels(flat: DataFrame, trie: PatternTrie, quadratic: bool = False) ->
     for s in sums[1:]:
         out = out.unionByName(s)
     return out.join(F.broadcast(table.filter("terminal").select("node")), "node")
+
+
+def node_visits(flat: DataFrame, items: int) -> DataFrame:
+    """(events, sequences, linear, pairwise) by length of sequence, for all patterns of two events of one of ``items`` items each.
+
+    linear: nodes times events, what a walk of the trie visits; pairwise: occurrences, and pairs of them with the second in a later event.
+    Pairs are counted by running sums, not made.
+    """
+    by_event = flat.groupBy("seq_id", "eid").agg(F.count("*").alias("held"))
+    until = Window.partitionBy("seq_id").orderBy("eid").rowsBetween(Window.unboundedPreceding, -1)
+    before = by_event.withColumn("before", F.coalesce(F.sum("held").over(until), F.lit(0)))
+    whole = before.groupBy("seq_id").agg(F.count("*").alias("events"), F.sum(F.col("held") * (F.col("before") + 1)).alias("pairs"))
+    counted = whole.groupBy("events").agg(F.count("*").alias("sequences"), F.sum("pairs").alias("pairwise"))
+    return counted.select("events", "sequences", (F.col("events") * F.col("sequences") * (items + items * items)).alias("linear"), "pairwise")

@@ -10,7 +10,9 @@ from uncertainseq.operators import relational
 from uncertainseq.operators.incremental import BufferedIncrementalMiner
 from uncertainseq.operators.local import mine_groups
 from uncertainseq.operators.mining import mine_static
+from uncertainseq.operators.scoring import node_visits
 from uncertainseq.plans.catalogue import PATTERNS, SPLIT, Query, caps_query, caps_sql, cte, enumerated, floor_sql, incremental_query, incremental_sql, mined, mined_sql, rows_of, score, segments_sql
+from uncertainseq.plans.worked import simulation_sql
 from uncertainseq.plans.workloads import WORKED
 from uncertainseq.runtime import ship
 from uncertainseq.sources.adapters import load, occurrences
@@ -21,6 +23,19 @@ ITEMS_OF = ",|\\)\\("
 HALF_SUPPORT = 0.44
 
 
+def visits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    db = load(ship(spark), sf_dir, "cust_type")
+    return node_visits(db.flat, len(db.names))
+
+
+VISITS_SQL = cte("cust_type") + """,
+n as (select count(*) k from w),
+l as (select seq_id, count(distinct eid) events, count(*) held from flat group by 1),
+p as (select a.seq_id, count(*) pairs from flat a join flat b on b.seq_id = a.seq_id and b.eid > a.eid group by 1)
+select events, count(*) sequences, cast(events * count(*) * (select k + k * k from n) as bigint) linear, cast(sum(held + coalesce(pairs, 0)) as bigint) pairwise
+from l left join p using (seq_id) group by 1"""
+
+
 def cap_tightness(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Both caps of every candidate that survives the tight one."""
     tight, loose = (caps_query(c)(spark, sf_dir).select("pattern", F.col("support_cap").alias(c)) for c in ("tight", "loose"))
@@ -188,12 +203,14 @@ def parsed_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
 PARSED = "select * from (values " + ", ".join(f"({s}::bigint, {e + 1}, '{x}', {p}::double)" for s, events in WORKED.items() for e, event in enumerate(events) for x, p in event.items()) + ") t(seq_id, eid, item, p)"
 
 QUERIES: dict[str, Query] = {
-    "cap_tightness": cap_tightness, "topk_by_length": top_by_length, "state_rollup": state_rollup, "lost_patterns": changed("lost"), "gained_patterns": changed("gained"),
+    "node_visits": visits, "cap_tightness": cap_tightness, "topk_by_length": top_by_length, "state_rollup": state_rollup, "lost_patterns": changed("lost"), "gained_patterns": changed("gained"),
     "pattern_trend_pivot": item_trend, "next_item": next_item, "sequence_deviation": sequence_deviation, "session_sequences": user_sessions, "last_value_as_of": last_value_before,
     "events_within_an_hour": events_within, "event_properties": event_properties, "turn_profile": turn_profile, "parsed_sequences": parsed_sequences,
     "mine_hybrid": mine_hybrid, "mine_segments_static": mine_segments,
 }
 ORACLES: dict[str, str] = {
+    "node_visits": VISITS_SQL,
+    "paper_simulation": simulation_sql(),
     "cap_tightness": CAP_TIGHTNESS, "topk_by_length": TOP_BY_LENGTH, "state_rollup": STATE_ROLLUP, "lost_patterns": changed_sql("lost"), "gained_patterns": changed_sql("gained"),
     "pattern_trend_pivot": ITEM_TREND, "next_item": NEXT_ITEM, "sequence_deviation": DEVIATION, "session_sequences": SESSIONS, "last_value_as_of": LAST_VALUE,
     "events_within_an_hour": WITHIN, "event_properties": PROPERTIES, "turn_profile": TURN_PROFILE, "parsed_sequences": PARSED,
