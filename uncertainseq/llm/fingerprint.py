@@ -57,8 +57,8 @@ def signatures(column: pa.Array, size: int = SIZE, seed: int = SEED) -> np.ndarr
     return out
 
 
-def hexadecimal(signature: np.ndarray) -> str:
-    return signature.astype(">u2").tobytes().hex()
+def in_bytes(signature: np.ndarray) -> bytes:
+    return signature.astype(">u2").tobytes()
 
 
 def likeness(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -103,13 +103,22 @@ def place(n: int):
 
 
 def fingerprint_table(docs: DataFrame, size: int = SIZE, seed: int = SEED) -> DataFrame:
+    """``fingerprint_bytes`` with hashes and fingerprints in lower-case hex."""
+    return spelled(fingerprint_bytes(docs, size, seed))
+
+
+def spelled(rows: DataFrame) -> DataFrame:
+    return rows.withColumns({c: F.lower(F.hex(c)) for c in ("edited_sha256", "fingerprint", "edited_fingerprint")})
+
+
+def fingerprint_bytes(docs: DataFrame, size: int = SIZE, seed: int = SEED) -> DataFrame:
     """Fingerprints of every text, of its edited text, and their likeness to each other and to the next document's.
 
     The next document is that of the next doc_id, after the last the first; a single document follows itself. Null text is
     empty, and two empty texts are alike (1.0). Rows with null doc_id come before all others; equal doc_ids go by text.
     No rows give no rows; columns other than doc_id and text are ignored.
     """
-    schema = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
+    schema = "doc_id long, n_chars long, edited_sha256 binary, fingerprint binary, edited_fingerprint binary, near_edited double, near_next double"
     names = [x.split()[0] for x in schema.split(", ")]
 
     def described(rows: list[tuple], after: str) -> pa.RecordBatch:
@@ -118,8 +127,8 @@ def fingerprint_table(docs: DataFrame, size: int = SIZE, seed: int = SEED) -> Da
         changed = [edited(a, b) for a, b in zip(texts, texts[1:], strict=False)]
         own, other = signatures(pa.array(texts, pa.large_string()), size, seed), signatures(pa.array(changed, pa.large_string()), size, seed)
         return pa.RecordBatch.from_arrays([
-            pa.array([x[0] for x in rows], pa.int64()), pa.array([len(x[1]) for x in rows], pa.int64()), pa.array([hashlib.sha256(x.encode()).hexdigest() for x in changed]),
-            pa.array([hexadecimal(x) for x in own[:-1]]), pa.array([hexadecimal(x) for x in other]), pa.array(likeness(own[:-1], other)), pa.array(likeness(own[:-1], own[1:])),
+            pa.array([x[0] for x in rows], pa.int64()), pa.array([len(x[1]) for x in rows], pa.int64()), pa.array([hashlib.sha256(x.encode()).digest() for x in changed]),
+            pa.array([in_bytes(x) for x in own[:-1]]), pa.array([in_bytes(x) for x in other]), pa.array(likeness(own[:-1], other)), pa.array(likeness(own[:-1], own[1:])),
         ], names=names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -168,6 +177,9 @@ def near_pairs(docs: DataFrame, threshold: float = 0.8, size: int = SIZE, bands:
 
 
 def fingerprints_and_classes(docs: DataFrame, threshold: float = 0.8, size: int = SIZE, bands: int = BANDS, seed: int = SEED) -> DataFrame:
-    """``fingerprint_table`` with class_id, the least doc_id of the near-duplicates that bands and verification find (``near_pairs``); null for a null doc_id."""
+    """``fingerprint_table`` with class_id, the least doc_id of the near-duplicates that bands and verification find (``near_pairs``); null for a null doc_id.
+
+    Rows are joined as bytes, half as long as hex, and spelled out after the join.
+    """
     found = near_pairs(docs, threshold, size, bands, seed).filter("doc_id is not null").groupBy("doc_id").agg(F.min("class_id").alias("class_id"))
-    return fingerprint_table(docs, size, seed).join(found, "doc_id", "left")
+    return spelled(fingerprint_bytes(docs, size, seed).join(found, "doc_id", "left"))
